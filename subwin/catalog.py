@@ -2,9 +2,12 @@
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-SQL: dict = {}
+from subwin.functions import exact
+from subwin.operators import eh, kll, sampling, univ
 
+_MODULES = (exact, eh, kll, sampling, univ)
+QUERIES: dict = {name: query for module in _MODULES for name, query in module.QUERIES.items()}
+SQL: dict = {name: sql for module in _MODULES for name, sql in module.SQL.items()}
 
-def flagship(spark, sf_dir):
-    raise NotImplementedError
+
+flagship = kll.flagship
