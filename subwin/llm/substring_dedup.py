@@ -176,6 +176,7 @@ def repeated_runs(docs: DataFrame, scratch: Scratch) -> DataFrame:
     travel = found.join(shared, "mini", "left_semi").groupBy("doc_id", "text_key").agg(F.collect_set(F.struct("start", "n", "mini")).alias("list"))
     with_list = join_same(docs, travel, ["doc_id", "text_key"]).select("doc_id", "text_key", "text", "list")
     packed = scratch.save(map_batches(with_list, _pack, f"{keys}, mini long, start int, packed binary, digest binary"), "packed")
+    scratch.drop("super_kmers")
     distinct = packed.groupBy("mini", "digest", "packed").agg(F.count("*").alias("n"))
     counted = scratch.save(distinct.repartition(partitions(docs.sparkSession), "mini").sortWithinPartitions("mini").select("mini", "digest", "packed", "n").mapInArrow(_sweep, "digest binary, runs array<struct<first:int,count:int>>, packed binary, n long"), "counted")
     large = scratch.save(map_batches(counted.where("packed is not null").select("digest", "packed", "n"), _window_digests, "window binary, digest binary, k int, n long"), "large")
@@ -201,6 +202,8 @@ def drop_repeats(docs: DataFrame, with_text: bool = False) -> DataFrame:
     scratch = Scratch(docs.sparkSession, "substrings")
     rows = docs.select("doc_id", text_key(F.col("text")).alias("text_key"), "text")
     runs = scratch.save(repeated_runs(rows, scratch), "runs")
+    for name in ("packed", "counted", "large"):
+        scratch.drop(name)
 
     def cut(batch: pa.RecordBatch) -> pa.RecordBatch:
         total, gone, sha, kept = [], [], [], []
