@@ -147,7 +147,7 @@ def links(fps: DataFrame, scratch: Scratch) -> DataFrame:
     """Pairs a, b of distinct fingerprints (column fp, distinct) that connect all that link."""
     n = partitions(fps.sparkSession)
     variants = map_batches(fps.select("fp"), _variants, "slot int, value long, fp long")
-    swept = scratch.save(variants.repartition(n, "slot", "value").sortWithinPartitions("slot", "value").mapInArrow(_sweep, "a long, b long, slot int"), "swept")
+    swept = scratch.save(variants.repartition(n, "slot", "value").sortWithinPartitions("slot", "value").mapInArrow(_sweep, "a long, b long, slot int").distinct(), "swept")
     crowds = map_batches(swept.where("slot is not null").select(F.col("a").alias("fp"), "slot"), _crowd, "mask long, value long, fp long")
     firsts = crowds.groupBy("mask", "value").agg(F.min("fp").alias("first"), F.max("fp").alias("last"))
     stars = crowds.join(firsts.where("first < last"), ["mask", "value"]).where("fp <> first").select(F.col("first").alias("a"), F.col("fp").alias("b"))
@@ -170,14 +170,13 @@ def components(edges: DataFrame, scratch: Scratch) -> DataFrame:
         both = pairs.unionByName(pairs.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"))
         large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        large = scratch.save(large.distinct(), f"large{turn}")
+        large = large.distinct()
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(least, "u")
         small = small.where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(least.select("u", F.col("m").alias("v")))
         pairs = scratch.save(small.where("u <> v").distinct(), f"edges{turn + 1}")
         after, turn = stamp(pairs), turn + 1
         scratch.drop(f"edges{turn - 1}")
-        scratch.drop(f"large{turn - 1}")
         if after == before:
             break
         before = after
