@@ -31,11 +31,11 @@ SYMBOLS = b"#*$%&|<>"
 ALPHA, DELTA, PRICE = 0.05, 0.05, 20
 #: Rule, its measure, and the grid of cutoffs, from lax to strict; a document above the cutoff is rejected.
 GRID = {
-    "symbols": ("n_symbols / word_chars", [0.3, 0.2, 0.1, 0.05, 0.03, 0.02]),
-    "shouted": ("n_upper_words / n_words", [0.9, 0.7, 0.5, 0.3, 0.2, 0.1]),
-    "dup_lines": ("n_dup_lines / n_lines", [0.9, 0.7, 0.5, 0.3, 0.2]),
-    "repeats": ("n_repeat_words / n_words", [0.45, 0.4, 0.3, 0.2, 0.15, 0.1]),
-    "long_words": ("word_chars / n_words", [20.0, 14.0, 11.0, 10.0, 9.0, 8.0]),
+    "symbols": ("try_divide(n_symbols, word_chars)", [0.3, 0.2, 0.1, 0.05, 0.03, 0.02]),
+    "shouted": ("try_divide(n_upper_words, n_words)", [0.9, 0.7, 0.5, 0.3, 0.2, 0.1]),
+    "dup_lines": ("try_divide(n_dup_lines, n_lines)", [0.9, 0.7, 0.5, 0.3, 0.2]),
+    "repeats": ("try_divide(n_repeat_words, n_words)", [0.45, 0.4, 0.3, 0.2, 0.15, 0.1]),
+    "long_words": ("try_divide(word_chars, n_words)", [20.0, 14.0, 11.0, 10.0, 9.0, 8.0]),
 }
 COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_upper_words", "n_lines")
 

@@ -30,7 +30,7 @@ LEAST_ASSIGN, LEAST_ACCESS, LEAST_HEX = 6, 20, 24
 #: Candidates: at least 16 characters of the base64 alphabets, with a letter and a digit; and words that make their surroundings sensitive.
 CANDIDATE = re.compile(r"(?<![A-Za-z0-9+/_=-])(?=[A-Za-z+/_=-]*[0-9])(?=[0-9+/_=-]*[A-Za-z])[A-Za-z0-9+/_=-]{16,}")
 SENSITIVE = re.compile(r"passw|pwd|secret|token|api.?key|credential|private.?key|access.?key|auth|bearer|signature|\bkey\b|ssh-|BEGIN", re.IGNORECASE)
-AROUND, NOVEL = 120, 0.6
+AROUND, NOVEL = 120, 0.8
 #: Identifiers and code that the compressor knows beforehand.
 IDENTIFIERS = """
 import from return function class public private static const let var new this self def async await export default string integer boolean number array object null none true false undefined
@@ -39,6 +39,7 @@ application/json text/html charset utf-8 content-type authorization bearer basic
 https://www.example.com/api/v1/users/ http://localhost:8080/index.html /usr/local/bin /home/user/.config /var/log/ src/main/java/com/example/ node_modules package.json requirements.txt README.md LICENSE Dockerfile docker-compose.yml
 assertEquals assertTrue toString hashCode equals length push append insert remove update delete select where order group having limit offset join inner outer left right create table index primary foreign references
 controller service repository manager factory builder handler listener adapter interface abstract implementation exception response request message template component module version release snapshot production development staging testing
+HTTP_REQUEST_TIMEOUT_SECONDS MAX_RETRY_COUNT DEFAULT_BUFFER_SIZE ENABLE_DEBUG_LOGGING DATABASE_CONNECTION_URL AWS_REGION SERVER_PORT_NUMBER CACHE_EXPIRATION_MINUTES unknown-linux-gnu x86_64 arm64 sha256 sha512 md5 base64 utf8 http2 level compression internationalization
 0123456789 abcdefghijklmnopqrstuvwxyz ABCDEFGHIJKLMNOPQRSTUVWXYZ 2020-01-01T00:00:00Z 127.0.0.1 255.255.255.0 #ffffff #000000 1234567890 00000000-0000-0000-0000-000000000000
 """
 

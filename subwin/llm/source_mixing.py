@@ -121,10 +121,10 @@ def copies(sized: DataFrame) -> DataFrame:
 def mix(docs: DataFrame) -> DataFrame:
     """``docs`` (doc_id, text, source, ...) with each row as often as the mix takes it; all columns stay."""
     keyed = docs.withColumn("_subwin_size", word_count(docs["text"]))
-    taken = copies(keyed.select("doc_id", "source", F.col("_subwin_size").alias("size"))).where("copies > 0")
-    taken = taken.select(F.col("doc_id").alias("_subwin_id"), F.col("source").alias("_subwin_source"), F.col("size").alias("_subwin_words"), "copies")
+    taken = copies(keyed.select("doc_id", "source", F.col("_subwin_size").alias("size"))).where("copies > 0").withColumnRenamed("copies", "_subwin_copies")
+    taken = taken.select(F.col("doc_id").alias("_subwin_id"), F.col("source").alias("_subwin_source"), F.col("size").alias("_subwin_words"), "_subwin_copies")
     on = keyed["doc_id"].eqNullSafe(taken["_subwin_id"]) & keyed["source"].eqNullSafe(taken["_subwin_source"]) & (keyed["_subwin_size"] == taken["_subwin_words"])
-    return keyed.join(taken, on).select(*[keyed[c] for c in docs.columns], F.explode(F.sequence(F.lit(1), F.col("copies"))).alias("_subwin_nth")).drop("_subwin_nth")
+    return keyed.join(taken, on).select(*[keyed[c] for c in docs.columns], F.explode(F.sequence(F.lit(1), F.col("_subwin_copies"))).alias("_subwin_nth")).drop("_subwin_nth")
 
 
 def op5_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
