@@ -3,9 +3,9 @@
 from __future__ import annotations
 
 from subwin.functions import exact
-from subwin.operators import eh, kll, sampling, univ
+from subwin.operators import baselines, eh, kll, relational, sampling, smooth, univ
 
-_MODULES = (exact, eh, kll, sampling, univ)
+_MODULES = (exact, eh, kll, sampling, univ, smooth, baselines, relational)
 QUERIES: dict = {name: query for module in _MODULES for name, query in module.QUERIES.items()}
 SQL: dict = {name: sql for module in _MODULES for name, sql in module.SQL.items()}
 
