@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+from subwin import metrics
 from subwin.functions import exact
 from subwin.operators import baselines, eh, kll, relational, sampling, smooth, univ
+from subwin.plans import rules
 
-_MODULES = (exact, eh, kll, sampling, univ, smooth, baselines, relational)
+_MODULES = (exact, eh, kll, sampling, univ, smooth, baselines, rules, metrics, relational)
 QUERIES: dict = {name: query for module in _MODULES for name, query in module.QUERIES.items()}
 SQL: dict = {name: sql for module in _MODULES for name, sql in module.SQL.items()}
 
