@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from subwin.operators import kll
-from subwin.operators.eh import CUTS, bucket_spans, fractions_of, fractions_sql, layout_count, query_range
+from subwin.operators.eh import CUTS, bucket_spans, fractions_of, fractions_sql, in_range, layout_count, query_range
 from subwin.sources.views import VIEWS, series_view
 
 # -- bounds ------------------------------------------------------------------------------------------------------------
@@ -127,7 +127,7 @@ def alignment_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     samples = series_view(spark, sf_dir, "ev_type")
     placed, ranges = layout_count(samples, 20), fractions_of(samples, CUTS[:4])
     taken = query_range(bucket_spans(placed), ranges).select("query", "series", "bucket")
-    ks = ks_distance(samples.join(ranges, "series").where("seq > low and seq <= high"), placed.join(taken, ["series", "bucket"]))
+    ks = ks_distance(in_range(samples, ranges), placed.join(taken, ["series", "bucket"]))
     bound = kll.merged(kll.build(samples, 20), ranges).select("query", "series", "bound")
     return ks.join(bound, ["query", "series"]).select("query", "series", (F.col("ks") <= F.col("bound") + 1e-9).alias("within_bound"))
 

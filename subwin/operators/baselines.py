@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from subwin.functions.exact import AGGREGATES, DAILY, Grid, over_time
-from subwin.operators.eh import CUTS, fractions_of, fractions_sql
+from subwin.operators.eh import CUTS, fractions_of, fractions_sql, in_range
 from subwin.sources.views import DAY, VIEWS, series_view
 
 
@@ -25,7 +25,7 @@ def rescan(samples: DataFrame, ranges: list[tuple[str, int, int]], aggregate: st
 
 def shared_exact(samples: DataFrame, ranges: DataFrame, *aggregates) -> DataFrame:
     """All ranges (query, series, low, high) in one job over one scan; overlaps are still worked out again."""
-    inside = samples.join(ranges, "series").where((F.col("seq") > F.col("low")) & (F.col("seq") <= F.col("high")))
+    inside = in_range(samples, ranges)
     return inside.groupBy("query", "series").agg(*aggregates)
 
 
@@ -103,7 +103,7 @@ def fixed_window_topk(samples: DataFrame, windows: dict[str, float], k: int, eng
     A sketch reads its samples in order, in batches.
     """
     ranges = fractions_of(samples, [(q, f, 0.0) for q, f in windows.items()])
-    inside = samples.join(ranges, "series").where("seq > low and seq <= high").select("query", "series", "seq", "item")
+    inside = in_range(samples, ranges).select("query", "series", "seq", "item")
 
     def fold(rows: pd.DataFrame) -> pd.DataFrame:
         sketch = SpaceSaving(m) if engine == "spacesaving" else GuardedBuckets(max(1, m // 8))

@@ -59,13 +59,21 @@ def bucket_spans(placed: DataFrame, *aggregates: Column) -> DataFrame:
     return placed.groupBy("series", "bucket").agg(*spans, *aggregates)
 
 
-def query_range(buckets: DataFrame, ranges: DataFrame, by: str = "seq") -> DataFrame:
-    """Buckets of each range: ``ranges`` has query, series, low, high, for samples in (low, high] by seq or t.
+def in_range(points: DataFrame, ranges: DataFrame, at: str = "seq", width: int | None = None) -> DataFrame:
+    """``points`` (series, ...) in the ranges (query, series, low, high], by ``at``.
 
-    Few ranges against few buckets: an equality join on series with the range as residual.
+    Ranges are spread over panes, so that the join is an equality on series and pane with the range as
+    residual: never a nested loop, and a series of any length is spread over tasks.
     """
-    lo, hi = f"{by}_lo", f"{by}_hi"
-    return ranges.join(buckets, "series").where((F.col(lo) > F.col("low")) & (F.col(lo) <= F.col("high"))).withColumn("straddles", F.col(hi) > F.col("high"))
+    width = width or (1 << 20 if at.startswith("seq") else 86_400_000_000)
+    spread = ranges.where("low < high").withColumn("in_pane", F.explode(F.sequence(F.expr(f"low div {width}"), F.expr(f"high div {width}"))))
+    paned = points.withColumn("in_pane", F.expr(f"{at} div {width}"))
+    return spread.join(paned, ["series", "in_pane"]).where((F.col(at) > F.col("low")) & (F.col(at) <= F.col("high"))).drop("in_pane")
+
+
+def query_range(buckets: DataFrame, ranges: DataFrame, by: str = "seq") -> DataFrame:
+    """Buckets of each range: ``ranges`` has query, series, low, high, for samples in (low, high] by seq or t."""
+    return in_range(buckets, ranges, f"{by}_lo").withColumn("straddles", F.col(f"{by}_hi") > F.col("high"))
 
 
 def query_window(buckets: DataFrame, low: Column, by: str = "seq") -> DataFrame:

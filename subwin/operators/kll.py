@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from subwin.operators.eh import CUTS, bucket_spans, fractions_of, fractions_sql, layout_count, query_range
+from subwin.operators.eh import CUTS, bucket_spans, fractions_of, fractions_sql, in_range, layout_count, query_range
 from subwin.sources.views import DRIFT_SQL, VIEWS, drifting, series_view
 
 K_EH, K_KLL = 50, 256
@@ -18,9 +18,11 @@ def sketch_error(k: int) -> float:
 
 def build(samples: DataFrame, k_eh: int = K_EH, k_kll: int = K_KLL) -> DataFrame:
     """Bucket table: series, bucket, spans, size and sketch. Partial sketches form before the shuffle, so a
-    series of any length is spread over tasks."""
-    placed = layout_count(samples.where("value is not null and not isnan(value)"), k_eh)
-    return bucket_spans(placed, F.expr(f"kll_sketch_agg_double(value, {k_kll})").alias("sketch"))
+    series of any length is spread over tasks. A sample whose value is null or NaN has its position but no
+    value: size counts values, and a bucket without any is left out."""
+    placed = layout_count(samples, k_eh).withColumn("valid", F.when(~F.isnan("value"), F.col("value")))
+    spans = bucket_spans(placed, F.expr(f"kll_sketch_agg_double(valid, {k_kll})").alias("sketch"), F.count("valid").alias("values"))
+    return spans.where("values > 0").withColumn("size", F.col("values")).drop("values")
 
 
 def merged(buckets: DataFrame, ranges: DataFrame, by: str = "seq") -> DataFrame:
@@ -51,7 +53,7 @@ def answer(samples: DataFrame, buckets: DataFrame, ranges: DataFrame, phis: list
     found = quantiles(buckets, ranges, phis).withColumn("source", F.lit("cache"))
     missed = ranges.join(query_range(buckets, ranges).select("query", "series").distinct(), ["query", "series"], "left_anti")
     points = ", ".join(f"{p!r}D" for p in phis)
-    held = samples.join(missed, "series").where((F.col("seq") > F.col("low")) & (F.col("seq") <= F.col("high"))).groupBy("query", "series").agg(F.count("*").alias("samples"), F.expr(f"percentile(value, array({points}))").alias("points"))
+    held = in_range(samples, missed).groupBy("query", "series").agg(F.count("*").alias("samples"), F.expr(f"percentile(value, array({points}))").alias("points"))
     each = F.inline(F.arrays_zip(F.expr(f"array({points})").alias("phi"), F.col("points").alias("estimate")))
     exact = held.select("query", "series", "samples", F.lit(0).cast("long").alias("buckets"), (1 / F.col("samples")).alias("bound"), each, F.lit("exact").alias("source"))
     return found.unionByName(exact)
@@ -68,7 +70,7 @@ def judged(samples: DataFrame, estimates: DataFrame, ranges: DataFrame, sketch_k
 
     The sketch's own error counts twice, for a failing chance far below one in a hundred.
     """
-    inside = samples.join(ranges, "series").where((F.col("seq") > F.col("low")) & (F.col("seq") <= F.col("high")))
+    inside = in_range(samples, ranges)
     exact = inside.join(estimates.select("query", "series", "phi", "estimate", "bound"), ["query", "series"])
     found = exact.groupBy("query", "series", "phi", "estimate", "bound").agg(F.count("*").alias("n"), F.count_if(F.col("value") < F.col("estimate")).alias("below"), F.count_if(F.col("value") <= F.col("estimate")).alias("upto"), F.expr("percentile(value, array(0.0D, 0.25D, 0.5D, 0.75D, 0.9D, 0.95D, 0.99D, 1.0D))").alias("points"))
     at = F.element_at("points", F.array_position(F.array(*map(F.lit, POINTS)), F.col("phi")).cast("int"))
@@ -128,7 +130,7 @@ def rank_queries(spark: SparkSession, sf_dir: str) -> DataFrame:
     samples = series_view(spark, sf_dir, "ev_type")
     ranges = fractions_of(samples, CUTS)
     found = ranks(build(samples), ranges, 50.0)
-    exact = samples.join(ranges, "series").where("seq > low and seq <= high").groupBy("query", "series").agg((F.count_if(F.col("value") <= 50) / F.count("*")).alias("share"))
+    exact = in_range(samples, ranges).groupBy("query", "series").agg((F.count_if(F.col("value") <= 50) / F.count("*")).alias("share"))
     return found.join(exact, ["query", "series"]).select("query", "series", F.round("share", 6).alias("exact"), (F.abs(F.col("rank") - F.col("share")) <= F.col("bound") + 2 * sketch_error(K_KLL)).alias("within_bound"))
 
 

@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from subwin.operators.eh import CUTS, fractions_of, fractions_sql
+from subwin.operators.eh import CUTS, fractions_of, fractions_sql, in_range
 from subwin.sources.views import VIEWS, series_view
 
 PRIME, SCALE = 2_147_483_647, 1_000_000
@@ -42,13 +42,13 @@ def expire(kept: DataFrame, now: int, window: int) -> DataFrame:
 
 
 def query(kept: DataFrame, ranges: DataFrame, fn: str, p: float) -> DataFrame:
-    inside = kept.join(ranges, "series").where((F.col("seq") > F.col("low")) & (F.col("seq") <= F.col("high")))
+    inside = in_range(kept, ranges)
     return inside.withColumn("c", F.expr("cast(round(value * 100) AS bigint)")).groupBy("query", "series").agg(F.expr(ESTIMATORS[fn].format(p=p)).alias("estimate"))
 
 
 def sweep(samples: DataFrame, ranges: DataFrame, ps: list[float]) -> DataFrame:
     """Relative error of the mean for each ratio, in one pass over the samples."""
-    inside = samples.join(ranges, "series").where((F.col("seq") > F.col("low")) & (F.col("seq") <= F.col("high"))).withColumn("draw", F.expr(DRAW.format(salt=1)))
+    inside = in_range(samples, ranges).withColumn("draw", F.expr(DRAW.format(salt=1)))
     c = F.expr("cast(round(value * 100) AS bigint)")
     each = [F.struct(F.lit(p).alias("p"), F.count_if(F.col("draw") < int(p * SCALE)).alias("m"), F.sum(F.when(F.col("draw") < int(p * SCALE), c)).alias("s")) for p in ps]
     found = inside.groupBy("query", "series").agg(F.count("*").alias("n"), F.sum(c).alias("total"), F.array(*each).alias("each"))

@@ -14,7 +14,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from subwin.operators.eh import CUTS, fractions_of, fractions_sql, layout_weight
+from subwin.operators.eh import CUTS, fractions_of, fractions_sql, in_range, layout_weight
 from subwin.sources.views import VIEWS, series_view
 
 PRIME = 2_147_483_647
@@ -170,7 +170,7 @@ def query(spans: DataFrame, maps: DataFrame, sketched: DataFrame, ranges: DataFr
     Ranges that take only maps are answered from summed counts, exactly; others from summed cells, to
     which the summed maps are added first.
     """
-    taken = ranges.join(spans, "series").where((F.col("seq_lo") > F.col("low")) & (F.col("seq_lo") <= F.col("high"))).select("query", "series", "bucket", "size", "form")
+    taken = in_range(spans, ranges, "seq_lo").select("query", "series", "bucket", "size", "form")
     forms = taken.groupBy("query", "series").agg(F.sum("size").alias("n"), F.when(F.min("form") == F.max("form"), F.min("form")).otherwise(F.lit("mixed")).alias("forms"))
     counts = maps.join(taken.select("query", "series", "bucket"), ["series", "bucket"]).groupBy("query", "series", "item", "h").agg(F.sum("f").alias("f"))
     exact = counts.join(forms.where("forms = 'map'").select("query", "series"), ["query", "series"]).withColumn("x", F.col("f").cast("double")).groupBy("query", "series").agg(*[F.sum(F.expr(g)).alias(name) for name, g in G.items()])
@@ -191,7 +191,7 @@ def query(spans: DataFrame, maps: DataFrame, sketched: DataFrame, ranges: DataFr
 
 def exact_statistics(samples: DataFrame, ranges: DataFrame) -> DataFrame:
     """query, series, n, distinct, entropy, l2 of the samples of each range."""
-    inside = samples.join(ranges, "series").where((F.col("seq") > F.col("low")) & (F.col("seq") <= F.col("high")))
+    inside = in_range(samples, ranges)
     counts = inside.groupBy("query", "series", "item").agg(F.count("*").alias("f")).withColumn("x", F.col("f").cast("double"))
     sums = counts.groupBy("query", "series").agg(F.sum("f").alias("n"), *[F.sum(F.expr(g)).alias(name) for name, g in G.items()])
     return finish(sums, F.col("n")).select("query", "series", "n", "distinct", "entropy", "l2")
@@ -277,13 +277,13 @@ def topk_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     samples = series_view(spark, sf_dir, "doc_tokens")
     ranges = fractions_of(samples, WIDE)
     spans, maps, sketched = build(samples, 5000, K_EH, LARGE, hybrid=False)
-    taken = ranges.join(spans, "series").where("seq_lo > low and seq_lo <= high").select("query", "series", "bucket")
+    taken = in_range(spans, ranges, "seq_lo").select("query", "series", "bucket")
     summed = merge_cells(sketch_cells(sketched, LARGE, "series", "bucket").join(taken, ["series", "bucket"]), "query", "series")
     heavy = Window.partitionBy("series", "bucket").orderBy(F.desc("f"), "item")
     asked = sketched.withColumn("nth", F.row_number().over(heavy)).where(F.col("nth") <= LARGE.heavy).join(taken, ["series", "bucket"]).select("query", "series", F.lit(0).alias("layer"), "item", "h").distinct()
     best = Window.partitionBy("query", "series").orderBy(F.desc("est"), "item")
     found = point_estimates(summed, asked, LARGE, "query", "series").withColumn("nth", F.row_number().over(best)).where("nth <= 10").select("query", "series", "item")
-    inside = samples.join(ranges, "series").where("seq > low and seq <= high").groupBy("query", "series", "item").agg(F.count("*").alias("f"))
+    inside = in_range(samples, ranges).groupBy("query", "series", "item").agg(F.count("*").alias("f"))
     true = inside.withColumn("nth", F.row_number().over(Window.partitionBy("query", "series").orderBy(F.desc("f"), "item"))).where("nth <= 10").select("query", "series", "item", "f")
     hit = true.join(found.withColumn("hit", F.lit(1)), ["query", "series", "item"], "left")
     return hit.groupBy("query", "series").agg(F.sum("f").alias("exact"), (F.sum(F.coalesce("hit", F.lit(0))) >= 9).alias("within_bound"))

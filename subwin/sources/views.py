@@ -51,6 +51,8 @@ class View:
     timed: bool = True
 
 
+#: The name of an only series, as an expression of a column: a constant would be folded out of join keys, and leave products.
+_ONE = "substr(concat('all', coalesce({}, '')), 1, 3)"
 _LINE = ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_returnflag", "l_linestatus"]
 
 
@@ -77,7 +79,7 @@ def _tokens(series: str):
 
 
 def _pages(spark: SparkSession, d: str) -> DataFrame:
-    return table(spark, d, "pages").selectExpr("'all' AS series", "page_id", "page_id div 1000 AS pane", "cast(length(html) AS double) AS value", "regexp_extract(url, '://([^/?#]*)', 1) AS item")
+    return table(spark, d, "pages").selectExpr(_ONE.format("url") + " AS series", "page_id", "page_id div 1000 AS pane", "cast(length(html) AS double) AS value", "regexp_extract(url, '://([^/?#]*)', 1) AS item")
 
 
 def _turns(spark: SparkSession, d: str) -> DataFrame:
@@ -98,8 +100,8 @@ VIEWS: dict[str, View] = {
     "ev_user": View(_events("cast(user_id AS string)", "value", "event_type"), ["event_id"], _EV.format("cast(user_id AS varchar)", "value", "event_type", "user_id")),
     "ev_type_k": View(_events("event_type", "cast(get_json_object(props, '$.k') AS double)", "get_json_object(props, '$.k')"), ["event_id"], _EV.format("event_type", f"cast({_K} AS double)", f"cast({_K} AS varchar)", "event_type")),
     "li_flag": View(_lines("concat(l_returnflag, l_linestatus)"), _LINE, _LI.format("l_returnflag || l_linestatus")),
-    "li_all": View(_lines("'all'"), _LINE, _LI.format("'all'")),
-    "doc_tokens": View(_tokens("'all'"), ["pos"], _TOK.format(EPOCH, STEP, "'all'"), False),
+    "li_all": View(_lines(_ONE.format("l_returnflag")), _LINE, _LI.format("'all'")),
+    "doc_tokens": View(_tokens(_ONE.format("lang")), ["pos"], _TOK.format(EPOCH, STEP, "'all'"), False),
     "doc_tokens_lang": View(_tokens("lang"), ["pos"], _TOK.format(EPOCH, STEP, "lang"), False),
     "ord_prio": View(_orders, ["t", "o_orderkey"], "SELECT o_orderpriority AS series, epoch_us(o_orderdate) AS t, o_totalprice AS value, cast(o_custkey AS varchar) AS item, row_number() OVER (PARTITION BY o_orderpriority ORDER BY o_orderdate, o_orderkey) AS seq FROM orders"),
     "ord_nation": View(_nations, ["t", "o_orderkey"], "SELECT n_name AS series, epoch_us(o_orderdate) AS t, o_totalprice AS value, c_mktsegment AS item, row_number() OVER (PARTITION BY n_name ORDER BY o_orderdate, o_orderkey) AS seq FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey"),

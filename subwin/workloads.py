@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from subwin.operators import baselines, kll, sampling, univ
-from subwin.operators.eh import bucket_spans, fractions_of, fractions_sql, layout_count
+from subwin.operators.eh import bucket_spans, fractions_of, fractions_sql, in_range, layout_count
 from subwin.sources.views import DAY, VIEWS, drifting, series_view, synthetic
 
 #: Window fractions of the concurrent workload, and nested windows in days back from the end of the events.
@@ -25,7 +25,7 @@ def statistic_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every statistic of the eleven concurrent groups for each series and window, in one shared job."""
     samples = series_view(spark, sf_dir, "ev_type")
     ranges = fractions_of(samples, THREE)
-    inside = samples.join(ranges, "series").where("seq > low and seq <= high").withColumn("c", F.expr("cast(round(value * 100) AS bigint)"))
+    inside = in_range(samples, ranges).withColumn("c", F.expr("cast(round(value * 100) AS bigint)"))
     values = inside.groupBy("query", "series").agg(
         F.round(F.expr("percentile(value, 0.5)"), 6).alias("q50"), F.round(F.expr("percentile(value, 0.9)"), 6).alias("q90"), F.min("value").alias("low"), F.max("value").alias("top"),
         F.round(F.sum("c") / 100.0 / F.count("*"), 6).alias("mean"), F.round(F.expr("sqrt(greatest(0, sum(c * c) / count(*) - pow(sum(c) / count(*), 2))) / 100"), 4).alias("deviation"),
@@ -47,7 +47,7 @@ def nested_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
     samples = series_view(spark, sf_dir, "ev_type")
     ranges = _all([samples.select("series").distinct().selectExpr(f"'d{d}' AS query", "series", f"{END - d * DAY} AS low", f"{END} AS high") for d in NESTED])
     found = kll.quantiles(kll.build(samples), ranges, [0.9], by="t")
-    exact = samples.join(ranges, "series").where("t > low and t <= high").join(found, ["query", "series"])
+    exact = in_range(samples, ranges, "t").join(found, ["query", "series"])
     ranks = exact.groupBy("query", "series", "estimate", "bound").agg(F.round(F.expr("percentile(value, 0.9)"), 6).alias("exact"), F.count("*").alias("n"), F.count_if(F.col("value") < F.col("estimate")).alias("below"), F.count_if(F.col("value") <= F.col("estimate")).alias("upto"))
     error = F.greatest(F.lit(0.0), F.col("below") / F.col("n") - 0.9, 0.9 - F.col("upto") / F.col("n"))
     return ranks.select("query", "series", "exact", (error <= F.col("bound") + 2 * kll.sketch_error(kll.K_KLL)).alias("within_bound"))
@@ -93,9 +93,9 @@ def rivals(spark: SparkSession, sf_dir: str) -> DataFrame:
     samples = series_view(spark, sf_dir, "ev_type")
     ranges = fractions_of(samples, [(q, f, 0.0) for q, f in baselines.WINDOWS.items()])
     best = Window.partitionBy("query", "series").orderBy(F.desc("f"), "item")
-    true = samples.join(ranges, "series").where("seq > low and seq <= high").groupBy("query", "series", "item").agg(F.count("*").alias("f")).withColumn("nth", F.row_number().over(best)).where("nth <= 5").select("query", "series", "item")
+    true = in_range(samples, ranges).groupBy("query", "series", "item").agg(F.count("*").alias("f")).withColumn("nth", F.row_number().over(best)).where("nth <= 5").select("query", "series", "item")
     spans, maps, _ = univ.build(samples, 50)
-    taken = ranges.join(spans, "series").where("seq_lo > low and seq_lo <= high").select("query", "series", "bucket")
+    taken = in_range(spans, ranges, "seq_lo").select("query", "series", "bucket")
     ours = maps.join(taken, ["series", "bucket"]).groupBy("query", "series", "item").agg(F.sum("f").alias("f")).withColumn("nth", F.row_number().over(best)).where("nth <= 5").select("query", "series", "item")
     each = [("histogram", ours)] + [(engine, baselines.fixed_window_topk(samples, baselines.WINDOWS, 5, engine, 40).select("query", "series", "item")) for engine in ("spacesaving", "guarded")]
     hits = _all([true.join(found.withColumn("hit", F.lit(1)), ["query", "series", "item"], "left").groupBy("query").agg(F.round(F.sum(F.coalesce("hit", F.lit(0))) / F.count("*"), 6).alias("recall")).withColumn("engine", F.lit(name)) for name, found in each])
