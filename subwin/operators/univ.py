@@ -152,7 +152,8 @@ def build(samples: DataFrame, size: int, k: float = K_EH, config: Config = LARGE
     A bucket stays a map while its entries take fewer bytes than a sketch's cells; ``hybrid`` False sketches all.
     """
     layout = bucket_layout(samples, size, k)
-    placed = panes_of(samples, size).join(layout, "series").where("pane >= pane_lo and pane <= pane_hi")
+    of_pane = layout.select("series", "bucket", F.explode(F.sequence("pane_lo", "pane_hi")).alias("pane"))
+    placed = panes_of(samples, size).join(of_pane, ["series", "pane"])
     freq = frequencies(placed, "bucket")
     spans = placed.groupBy("series", "bucket").agg(F.min("seq").alias("seq_lo"), F.max("seq").alias("seq_hi"), F.min("t").alias("t_lo"), F.max("t").alias("t_hi"), F.count("*").alias("size"))
     distinct = freq.groupBy("series", "bucket").agg(F.count("*").alias("items"))
