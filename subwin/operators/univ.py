@@ -250,7 +250,7 @@ def _bounded(size: int, cuts, tolerance: dict[str, float], view: str, hybrid: bo
         ranges = fractions_of(samples, cuts)
         found = query(*build(samples, size, K_EH, config, hybrid), ranges, config)
         exact = exact_statistics(samples, ranges)
-        suffix = exact_statistics(samples, ranges.withColumn("high", F.lit(1 << 60)))
+        suffix = exact_statistics(samples, fractions_of(samples, [(q, a, 0.0) for q, a, _ in cuts]))
         joined = found.alias("e").join(exact.alias("x"), ["query", "series"]).join(suffix.alias("s"), ["query", "series"])
         checks = [(F.abs(F.col(f"e.{m}") - F.col(f"x.{m}")) <= tol * F.col(f"s.{m}")).alias(f"{m}_within") for m, tol in tolerance.items()]
         return joined.select("query", "series", F.col("x.distinct").cast("long").alias("distinct"), F.round("x.entropy", 6).alias("entropy"), F.round("x.l2", 6).alias("l2"), *checks)
