@@ -75,7 +75,7 @@ def fingerprints(docs: DataFrame, key: bool = False) -> DataFrame:
     return map_batches(docs.select("doc_id", *keys, "text"), run, f"doc_id {kind}" + ", text_key long" * key + ", fp long")
 
 
-def _sweep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _sweep(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[pa.RecordBatch]:
     """Of rows sorted by (slot, value): linked pairs a, b, slot null; members a of crowded values with their slot, b null."""
     held: list[np.ndarray] = []  # fingerprints of the value that the last batch ended in
     last: tuple | None = None
@@ -85,7 +85,7 @@ def _sweep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         nonlocal held
         fps = np.concatenate(held) if held else np.empty(0, np.int64)
         held = []
-        if crowded or len(fps) > MOST_IN_BUCKET:
+        if crowded or len(fps) > most:
             return fps.tolist(), [None] * len(fps), [last[0]] * len(fps)
         i, j = np.triu_indices(len(fps), 1)
         near = np.bitwise_count((fps[i] ^ fps[j]).view(np.uint64)) <= NEAR
@@ -110,7 +110,7 @@ def _sweep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                     add(close())
                 last, crowded = key, False
             held.append(fp[starts[g] : ends[g]])
-            if crowded or sum(map(len, held)) > MOST_IN_BUCKET:
+            if crowded or sum(map(len, held)) > most:
                 crowded = True
                 add(close())
         if found[0]:
@@ -143,11 +143,11 @@ def _crowd(batch: pa.RecordBatch) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(masks.ravel()), pa.array((fp[:, None] & masks).ravel()), pa.array(np.repeat(fp, n))], names=["mask", "value", "fp"])
 
 
-def links(fps: DataFrame, scratch: Scratch) -> DataFrame:
-    """Pairs a, b of distinct fingerprints (column fp, distinct) that connect all that link."""
+def links(fps: DataFrame, scratch: Scratch, most: int = MOST_IN_BUCKET) -> DataFrame:
+    """Pairs a, b of distinct fingerprints (column fp, distinct) that connect all that link; ``most`` under one value are paired out."""
     n = partitions(fps.sparkSession)
     variants = map_batches(fps.select("fp"), _variants, "slot int, value long, fp long")
-    swept = scratch.save(variants.repartition(n, "slot", "value").sortWithinPartitions("slot", "value").mapInArrow(_sweep, "a long, b long, slot int").distinct(), "swept")
+    swept = scratch.save(variants.repartition(n, "slot", "value").sortWithinPartitions("slot", "value").mapInArrow(lambda batches: _sweep(batches, most), "a long, b long, slot int").distinct(), "swept")
     crowds = map_batches(swept.where("slot is not null").select(F.col("a").alias("fp"), "slot"), _crowd, "mask long, value long, fp long")
     firsts = crowds.groupBy("mask", "value").agg(F.min("fp").alias("first"), F.max("fp").alias("last"))
     stars = crowds.join(firsts.where("first < last"), ["mask", "value"]).where("fp <> first").select(F.col("first").alias("a"), F.col("fp").alias("b"))
@@ -183,10 +183,10 @@ def components(edges: DataFrame, scratch: Scratch) -> DataFrame:
     return pairs.select(F.col("u").alias("node"), F.col("v").alias("root")).unionByName(pairs.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
 
 
-def classes(printed: DataFrame, scratch: Scratch) -> DataFrame:
+def classes(printed: DataFrame, scratch: Scratch, most: int = MOST_IN_BUCKET) -> DataFrame:
     """fp and component_id for each distinct fingerprint of ``printed`` (doc_id, fp)."""
     nodes = scratch.save(printed.groupBy("fp").agg(F.min("doc_id").alias("least")), "nodes")
-    roots = components(links(nodes, scratch), scratch)
+    roots = components(links(nodes, scratch, most), scratch)
     rooted = nodes.join(roots, nodes["fp"] == roots["node"], "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
     named = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
     return scratch.save(rooted.join(named, "root").select("fp", "component_id"), "classes")

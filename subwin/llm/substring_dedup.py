@@ -125,7 +125,7 @@ def _count_bucket(rows: list[tuple[bytes, bytes, int]]) -> list[tuple[bytes, lis
     return [(digest, runs_of(np.array(sorted(k)))) for (digest, _, _), k in zip(rows, repeated, strict=True) if k]
 
 
-def _sweep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _sweep(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[pa.RecordBatch]:
     """Of rows sorted by minimiser: digest and runs of repeated windows; of buckets too large, packed and n instead of runs."""
     bucket, held, windows, large = None, [], 0, False
 
@@ -148,7 +148,7 @@ def _sweep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 bucket, held, windows, large = mini, [], 0, False
             held.append((digest, packed, n))
             windows += packed.count(b" ") + 2 - WINDOW
-            if windows > MOST_WINDOWS:
+            if windows > most:
                 large = True
                 out += close()
                 held = []
@@ -167,7 +167,7 @@ def _window_digests(batch: pa.RecordBatch) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(out[0], pa.binary()), pa.array(out[1], pa.binary()), pa.array(out[2], pa.int32()), pa.array(out[3], pa.int64())], names=["window", "digest", "k", "n"])
 
 
-def repeated_runs(docs: DataFrame, scratch: Scratch) -> DataFrame:
+def repeated_runs(docs: DataFrame, scratch: Scratch, most: int = MOST_WINDOWS) -> DataFrame:
     """For each row of ``docs`` (doc_id, text_key, text) that has any: runs of its windows that repeat, as first and count."""
     id_type = docs.schema["doc_id"].dataType.simpleString()
     keys = f"doc_id {id_type}, text_key long"
@@ -178,7 +178,7 @@ def repeated_runs(docs: DataFrame, scratch: Scratch) -> DataFrame:
     packed = scratch.save(map_batches(with_list, _pack, f"{keys}, mini long, start int, packed binary, digest binary"), "packed")
     scratch.drop("super_kmers")
     distinct = packed.groupBy("mini", "digest", "packed").agg(F.count("*").alias("n"))
-    counted = scratch.save(distinct.repartition(partitions(docs.sparkSession), "mini").sortWithinPartitions("mini").select("mini", "digest", "packed", "n").mapInArrow(_sweep, "digest binary, runs array<struct<first:int,count:int>>, packed binary, n long"), "counted")
+    counted = scratch.save(distinct.repartition(partitions(docs.sparkSession), "mini").sortWithinPartitions("mini").select("mini", "digest", "packed", "n").mapInArrow(lambda batches: _sweep(batches, most), "digest binary, runs array<struct<first:int,count:int>>, packed binary, n long"), "counted")
     large = scratch.save(map_batches(counted.where("packed is not null").select("digest", "packed", "n"), _window_digests, "window binary, digest binary, k int, n long"), "large")
     often = large.groupBy("window").agg(F.sum("n").alias("times")).where("times > 1").select("window")
     single = large.join(often, "window").groupBy("digest").agg(F.transform(F.collect_set("k"), lambda k: F.struct(k.alias("first"), F.lit(1).alias("count"))).alias("runs"))
@@ -197,11 +197,12 @@ def kept_words(words: list[bytes], runs: list[dict]) -> list[bytes]:
     return [w for w, c in zip(words, np.cumsum(covered).tolist(), strict=False) if not c]
 
 
-def drop_repeats(docs: DataFrame, with_text: bool = False) -> DataFrame:
-    """doc_id, n_words, n_removed and kept_sha256 of each document (doc_id, text); ``with_text`` adds kept, its kept words joined by spaces."""
+def drop_repeats(docs: DataFrame, with_text: bool = False, most: int = MOST_WINDOWS) -> DataFrame:
+    """doc_id, n_words, n_removed and kept_sha256 of each document (doc_id, text); ``with_text`` adds kept, its kept
+    words joined by spaces; ``most`` windows of a bucket are sorted by one task."""
     scratch = Scratch(docs.sparkSession, "substrings")
     rows = docs.select("doc_id", text_key(F.col("text")).alias("text_key"), "text")
-    runs = scratch.save(repeated_runs(rows, scratch), "runs")
+    runs = scratch.save(repeated_runs(rows, scratch, most), "runs")
     for name in ("packed", "counted", "large"):
         scratch.drop(name)
 

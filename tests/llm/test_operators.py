@@ -282,19 +282,20 @@ def plain_repeats(rows):
         yield i, len(ws), len(gone), hashlib.sha256(" ".join(w for j, w in enumerate(ws) if j not in gone).encode()).hexdigest()
 
 
-def test_substring_dedup(docs, rows, none, monkeypatch):
+@pytest.mark.parametrize("most", [substring_dedup.MOST_WINDOWS, 10])
+def test_substring_dedup(docs, rows, none, most):
+    """With large buckets sorted whole, and with nearly all of them split by window digests."""
     want = list(plain_repeats(rows))
     assert any(0 < x[2] < x[1] for x in want)
-    same_rows(substring_dedup.drop_repeats(docs).collect(), want)
-    assert substring_dedup.drop_repeats(none).count() == 0
+    same_rows(substring_dedup.drop_repeats(docs, most=most).collect(), want)
+    assert substring_dedup.drop_repeats(none, most=most).count() == 0
 
 
-def test_substring_dedup_large_buckets(docs, rows, monkeypatch):
-    monkeypatch.setattr(substring_dedup, "MOST_WINDOWS", 20)
+def test_super_kmers_are_cut(monkeypatch):
+    """A word repeated for long is one super-k-mer, cut into bounded ones that share no window and miss none."""
     monkeypatch.setattr(substring_dedup, "MOST_TOGETHER", 50)
-    bucket = [(b"a", b" ".join(b"w%d" % i for i in range(40)), 1), (b"b", b" ".join(b"w%d" % i for i in range(3, 45)), 2)]
-    swept = list(substring_dedup._sweep(iter([substring_dedup.pa.RecordBatch.from_arrays([substring_dedup.pa.array([1, 1]), *(substring_dedup.pa.array(x) for x in zip(*bucket))], names=["mini", "digest", "packed", "n"])])))
-    assert sum(b.num_rows for b in swept) == 2 or sum(b.num_rows for b in swept) == 1
+    _, starts, lengths, within = substring_dedup.super_kmers([b"a"] * 500)
+    assert lengths.max() <= 50 and starts[0] == 0 and (starts[1:] == starts[:-1] + lengths[:-1]).all() and lengths.sum() == 466 and within.all()
 
 
 def test_exact_dedup(spark, docs, rows, none):
@@ -398,9 +399,8 @@ def test_simhash(docs, rows, none):
 
 
 @pytest.mark.parametrize("most", [512, 3])
-def test_simhash_links(spark, monkeypatch, most):
+def test_simhash_links(spark, most):
     """Dense balls of fingerprints, by pairs and, with small buckets, by stars."""
-    monkeypatch.setattr(simhash_dedup, "MOST_IN_BUCKET", most)
     r = random.Random(11)
     values = {0}
     for _ in range(12):
@@ -409,7 +409,7 @@ def test_simhash_links(spark, monkeypatch, most):
             values.add(center ^ sum(1 << b for b in r.sample(range(64), r.randrange(0, 4))))
     signed = lambda v: v - (1 << 64) if v >> 63 else v
     frame = spark.createDataFrame([(i, signed(v)) for i, v in enumerate(sorted(values))], "doc_id long, fp long")
-    got = {x.fp: x.component_id for x in simhash_dedup.classes(frame, simhash_dedup.Scratch(spark, "test")).collect()}
+    got = {x.fp: x.component_id for x in simhash_dedup.classes(frame, simhash_dedup.Scratch(spark, "test"), most).collect()}
     roots = plain_components(values)
     number = {v: i for i, v in enumerate(sorted(values))}
     least = defaultdict(lambda: 1 << 60)
