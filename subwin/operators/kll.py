@@ -48,11 +48,19 @@ def quantiles(buckets: DataFrame, ranges: DataFrame, phis: list[float], by: str
     return merged(buckets, ranges, by).select("query", "series", "samples", "buckets", "bound", each)
 
 
-def answer(samples: DataFrame, buckets: DataFrame, ranges: DataFrame, phis: list[float]) -> DataFrame:
-    """quantiles() with source cache; ranges that lie inside one bucket are answered from the samples, source exact."""
+def answer(samples: DataFrame, buckets: DataFrame, ranges: DataFrame, phis: list[float], narrow: str = "exact") -> DataFrame:
+    """quantiles() with source cache. Ranges that lie inside one bucket are answered, by ``narrow``: exact, from
+    the samples, with source exact; bucket, by the bucket that holds their end; null, not at all."""
     found = quantiles(buckets, ranges, phis).withColumn("source", F.lit("cache"))
+    if narrow == "null":
+        return found
     missed = ranges.join(query_range(buckets, ranges).select("query", "series").distinct(), ["query", "series"], "left_anti")
     points = ", ".join(f"{p!r}D" for p in phis)
+    if narrow == "bucket":
+        # a wider range from just before the bucket's start
+        starts = in_range(samples, missed).groupBy("query", "series").agg(F.min("seq").alias("at"))
+        holders = buckets.join(starts, "series").where("seq_lo <= at and at <= seq_hi").select("query", "series", (F.col("seq_lo") - 1).alias("low"), F.col("at").alias("high"))
+        return found.unionByName(quantiles(buckets, holders, phis).withColumn("source", F.lit("bucket")))
     held = in_range(samples, missed).groupBy("query", "series").agg(F.count("*").alias("samples"), F.expr(f"percentile(value, array({points}))").alias("points"))
     each = F.inline(F.arrays_zip(F.expr(f"array({points})").alias("phi"), F.col("points").alias("estimate")))
     exact = held.select("query", "series", "samples", F.lit(0).cast("long").alias("buckets"), (1 / F.col("samples")).alias("bound"), each, F.lit("exact").alias("source"))

@@ -118,6 +118,22 @@ def finish(sums: DataFrame, n: Column) -> DataFrame:
     return sums.withColumn("entropy", F.log(n) - F.col("flogf") / n).withColumn("l2", F.sqrt(F.greatest(F.col("l2sq"), F.lit(0.0))))
 
 
+def heavy_hitters(estimates: DataFrame, norms: DataFrame, eps: float, *keys: str) -> DataFrame:
+    """Items of layer 0 whose estimate is at least ``eps`` of the L2 norm (keys, l2)."""
+    return estimates.where("layer = 0").join(norms, list(keys)).where(F.col("est") >= eps * F.col("l2")).select(*keys, "item", "est")
+
+
+def tractable(g, n: int = 4096) -> bool:
+    """Whether g (a function of a count, g(0) = 0) may be estimated: it grows slower than the square, up to a
+    slowly growing factor, falls no faster than slowly, and changes little between near counts."""
+    slow = lambda x: 4 * (1 + np.log2(x)) ** 2
+    counts = [2**i for i in range(1, int(np.log2(n)) + 1)]
+    grows = all(g(y) <= slow(y) * (y / x) ** 2 * g(x) for x in counts for y in counts if y > x)
+    falls = all(g(y) * slow(y) >= g(x) for x in counts for y in counts if y > x)
+    near = all(g(x + max(1, int(x / slow(x)))) <= 4 * g(x) for x in counts)
+    return bool(grows and falls and near)
+
+
 # -- exponential histogram ---------------------------------------------------------------------------------------------
 
 PANE_CELLS = 512

@@ -92,6 +92,32 @@ def test_sub_bucket_range_falls_back(spark):
     assert found["newest"].source == "cache" and "empty" not in found
 
 
+def test_narrow_policies(spark):
+    samples = series_view(spark, SF, "li_all")
+    ranges = spark.createDataFrame([("tiny", "all", 3, 5)], "query string, series string, low long, high long")
+    buckets = kll.build(samples, 4)
+    assert kll.answer(samples, buckets, ranges, [0.5], "null").count() == 0
+    found = kll.answer(samples, buckets, ranges, [0.5], "bucket").collect()
+    assert [x.source for x in found] == ["bucket"] and found[0].samples == buckets.where("bucket = 1").first().size
+
+
+def test_tractable_sums():
+    import math
+
+    assert univ.tractable(lambda x: 1.0) and univ.tractable(lambda x: float(x)) and univ.tractable(lambda x: x * math.log(x + 1)) and univ.tractable(lambda x: float(x * x))
+    assert not univ.tractable(lambda x: float(x**4)) and not univ.tractable(lambda x: 1 / x**3)
+
+
+def test_heavy_hitters(spark):
+    samples = series_view(spark, SF, "ev_type")
+    freq = univ.frequencies(samples)
+    cells = univ.sketch_cells(freq, univ.LARGE, "series")
+    estimates = univ.point_estimates(cells, freq.select("series", F.lit(0).alias("layer"), "item", "h"), univ.LARGE, "series")
+    found = {(x.series, x.item) for x in univ.heavy_hitters(estimates, univ.l2_of_cells(cells, "series"), 0.05, "series").collect()}
+    norms = {x.series: x.n for x in freq.groupBy("series").agg(F.sqrt(F.sum(F.col("f") * F.col("f"))).alias("n")).collect()}
+    assert {(x.series, x.item) for x in freq.collect() if x.f >= 0.06 * norms[x.series]} <= found
+
+
 def test_nulls_and_ties(spark):
     samples = spark.createDataFrame([("a", 5, i, None if i % 3 == 0 else 1.0, None if i % 2 else "x") for i in range(1, 31)], "series string, t long, seq long, value double, item string")
     assert kll.build(samples, 4).agg(F.sum("size")).first()[0] == 20
