@@ -158,3 +158,33 @@ def op2_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     measured = Scratch(spark, "quality").save(measure(table(spark, sf_dir, "documents")), "measured")
     judged = judge(measured, table(spark, sf_dir, "labels"))
     return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", F.array_join("rejected_by", ",").alias("rejected_by"))
+
+
+def _sql() -> str:
+    """The query in SQL: counts by unnesting, the binomial bound by its sum."""
+    values = {rule: value.replace("try_divide(", "").replace(", ", " / nullif(").replace(")", ", 0)") for rule, (value, _) in GRID.items()}
+    cells = " UNION ALL ".join(f"SELECT stratum, '{rule}' AS rule, {cut!r}::DOUBLE AS cutoff, count(*) FILTER (quality = 1) AS good, count(*) FILTER (quality = 1 AND {values[rule]} > {cut!r}) AS good_rejected, count(*) FILTER (quality = 0 AND {values[rule]} > {cut!r}) AS bad_rejected FROM held GROUP BY stratum" for rule, (_, cuts) in GRID.items() for cut in cuts)
+    tests = sum(len(cuts) for _, cuts in GRID.values())
+    alpha = ALPHA / len(GRID)
+    failed = ", ".join(f"CASE WHEN {values[rule]} > (SELECT cutoff FROM cuts WHERE cuts.stratum IS NOT DISTINCT FROM m.stratum AND cuts.rule = '{rule}') THEN '{rule}' END" for rule in GRID)
+    return rf"""
+WITH d AS (SELECT row_number() OVER () AS id, doc_id, lang AS stratum, coalesce(text, '') AS text, list_filter(regexp_split_to_array(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS words FROM documents),
+lines AS (SELECT id, count(*) AS n_lines, count(*) - count(DISTINCT line) AS n_dup_lines FROM (SELECT id, unnest(string_split(text, chr(10))) AS line FROM d) WHERE regexp_matches(line, '[^\x20\x09-\x0D]') GROUP BY id),
+wins AS (SELECT id, pos, words[pos : pos + 2] AS win FROM (SELECT id, words, unnest(range(1, len(words) - 1)) AS pos FROM d)),
+twice AS (SELECT id, win FROM wins GROUP BY id, win HAVING count(*) > 1),
+repeats AS (SELECT id, count(DISTINCT spot) AS n_repeat_words FROM (SELECT id, unnest(range(pos, pos + 3)) AS spot FROM wins JOIN twice USING (id, win)) GROUP BY id),
+m AS (SELECT d.id, doc_id, stratum, len(words)::BIGINT AS n_words, coalesce(list_sum(list_transform(words, lambda w: length(w))), 0)::BIGINT AS word_chars,
+    (length(text) - length(regexp_replace(text, '[#*$%&|<>]', '', 'g')))::BIGINT AS n_symbols, coalesce(n_dup_lines, 0) AS n_dup_lines, coalesce(n_repeat_words, 0) AS n_repeat_words, coalesce(n_lines, 0) AS n_lines,
+    len(list_filter(words, lambda w: strlen(w) > 1 AND regexp_matches(w, '[A-Z]') AND NOT regexp_matches(w, '[a-z]'))) AS n_upper_words,
+    len(words) < 50 OR 100 * coalesce(n_repeat_words, 0) > 50 * len(words) AS base_failed FROM d LEFT JOIN lines USING (id) LEFT JOIN repeats USING (id)),
+held AS (SELECT m.*, quality FROM m JOIN labels l ON m.doc_id = l.doc_id WHERE NOT base_failed AND quality IS NOT NULL),
+cells AS ({cells}),
+tail AS (SELECT stratum, rule, cutoff, good, good_rejected, bad_rejected, CASE WHEN good_rejected >= good THEN 1 ELSE (SELECT sum(exp(lgamma(good + 1) - CASE WHEN i = 0 THEN 0 ELSE lgamma(i + 1) END - CASE WHEN i = good THEN 0 ELSE lgamma(good - i + 1) END + i * ln({alpha!r}) + (good - i) * ln(1 - {alpha!r}))) FROM (SELECT unnest(range(good_rejected + 1)) AS i)) END AS p FROM cells WHERE good > 0),
+sound AS (SELECT *, bad_rejected - {PRICE} * good_rejected AS worth FROM tail WHERE p <= {DELTA!r} / ({tests} * greatest(1, (SELECT count(DISTINCT coalesce(stratum, chr(1))) FROM held))) AND bad_rejected > 0),
+cuts AS (SELECT stratum, rule, cutoff FROM (SELECT *, row_number() OVER (PARTITION BY stratum, rule ORDER BY worth DESC, cutoff DESC) AS nth FROM sound) WHERE nth = 1 AND worth > 0),
+judged AS (SELECT *, list_filter([CASE WHEN base_failed THEN 'base' END, {failed}], lambda x: x IS NOT NULL) AS rejected FROM m)
+SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, len(rejected) = 0 AS kept, array_to_string(rejected, ',') AS rejected_by FROM judged
+"""
+
+
+OP2_SQL = _sql()
