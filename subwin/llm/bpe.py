@@ -75,6 +75,7 @@ class Vocabulary:
                 node = node.setdefault(byte, {})
             node[TOKEN] = rank
         self._beside: dict[int, bool] = {}
+        self._prefixes: dict[bytes, int] = {}
 
     def beside(self, a: int, b: int) -> bool:
         """Whether merges leave tokens a and b side by side when they meet."""
@@ -106,14 +107,41 @@ class Vocabulary:
         whole = self.ranks.get(piece)
         if whole is not None:
             return [whole]
-        last = [-1] * len(piece)
+        if len(piece) > SHORT:
+            last = [-1] * len(piece)
+            for end in range(1, len(piece) + 1):
+                self.last_token(piece, last, end)
+            return self.backwards(piece, last)
         # of a short piece only the prefixes that the whole one asks for are worked out
-        for end in range(1 if len(piece) > SHORT else len(piece), len(piece) + 1):
-            self.last_token(piece, last, end)
-        return self.backwards(piece, last)
+        out = []
+        while piece:
+            out.append(token := self.last_of(piece))
+            piece = piece[: -len(self.bytes_of[token])]
+        return out[::-1]
+
+    def last_of(self, prefix: bytes) -> int:
+        """The one token that ends the encoding of a short prefix; kept, for words share prefixes."""
+        last = self._prefixes.get(prefix)
+        if last is not None:
+            return last
+        node, found = self.root, []
+        for start in range(len(prefix) - 1, -1, -1):
+            node = node.get(prefix[start])
+            if node is None:
+                break
+            token = node.get(TOKEN)
+            if token is not None:
+                found.append((start, token))
+        for start, token in reversed(found):
+            if not start or self.beside(self.last_of(prefix[:start]), token):
+                if len(self._prefixes) >= MEMO:
+                    self._prefixes.clear()
+                self._prefixes[prefix] = token
+                return token
+        raise ValueError("the vocabulary lacks a byte")
 
     def last_token(self, piece: bytes, last: list[int], end: int) -> int:
-        """The one token that ends the encoding of piece[:end]; stored in last[end - 1], as are those of the prefixes asked for."""
+        """The one token that ends the encoding of piece[:end], given those of shorter prefixes; stored in last[end - 1]."""
         node, found = self.root, []
         for start in range(end - 1, -1, -1):
             node = node.get(piece[start])
@@ -126,8 +154,6 @@ class Vocabulary:
         for start, token in reversed(found):
             if start:
                 before = last[start - 1]
-                if before < 0:
-                    before = self.last_token(piece, last, start)
                 fits = known(before << 32 | token)
                 if not (self.beside(before, token) if fits is None else fits):
                     continue
