@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from subwin.llm.common import map_batches, table, texts
+from subwin.llm.common import map_batches, partitions, table, texts
 from subwin.storage import Scratch
 
 #: Cells of words and of word pairs, as powers of two; weights of pair, word and uniform model.
@@ -80,7 +80,10 @@ def score(docs: DataFrame, labels: DataFrame, mix=MIX, word_bits: int = WORD_BIT
     """doc_id, n_words, target_loss, background_loss and score of each document (doc_id, text), given labels (doc_id, quality)."""
     spark = docs.sparkSession
     good = labels.where("quality = 1").select("doc_id").distinct().withColumn("good", F.lit(True))
-    known = docs.select("doc_id", "text").join(good, "doc_id", "left").select("text", F.coalesce("good", F.lit(False)).alias("good"))
+    # dealt to as many tasks as the session has partitions, at any size: each task sends a row for each of its cells
+    rows = docs.where("doc_id is not null").select("doc_id", "text").repartition(partitions(spark), "doc_id")
+    known = rows.join(good, "doc_id", "left").select("text", F.coalesce("good", F.lit(False)).alias("good"))
+    known = known.unionByName(docs.where("doc_id is null").select("text", F.lit(False).alias("good")))
     counted = Scratch(spark, "lm").save(count_cells(known, word_bits, pair_bits), "cells")
     # at most 2 ** (WORD_BITS + 1) + 2 ** PAIR_BITS rows whatever the corpus: the models' fixed size
     models = [[np.zeros(1 << bits, np.int64) for bits in (word_bits, word_bits, pair_bits)] for _ in range(2)]
