@@ -35,19 +35,24 @@ MOST_IN_BUCKET = 512
 ASCII_LOWER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
 
 
-def simhash(text: str, width: int = WIDTH) -> int:
-    """The fingerprint of one text, unsigned."""
+def shingles(text: str, width: int = WIDTH) -> np.ndarray:
+    """A hash of each run of ``width`` words; of all words where there are no more; none of no words."""
     words = text.encode().translate(ASCII_LOWER).split()
     if not words:
-        return 0
+        return np.empty(0, np.uint64)
     joined = b" ".join(words)
     if len(words) <= width:
-        return _majority(np.array([xxhash.xxh64_intdigest(joined, SEED)], np.uint64))
+        return np.array([xxhash.xxh64_intdigest(joined, SEED)], np.uint64)
     ends = np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1)
     starts = [0, *(ends[: -width]).tolist()]
     digest = xxhash.xxh64_intdigest
-    hashes = [digest(joined[a:b], SEED) for a, b in zip(starts, (ends[width - 1 :] - 1).tolist(), strict=True)]
-    return _majority(np.array(hashes, np.uint64))
+    return np.array([digest(joined[a:b], SEED) for a, b in zip(starts, (ends[width - 1 :] - 1).tolist(), strict=True)], np.uint64)
+
+
+def simhash(text: str, width: int = WIDTH) -> int:
+    """The fingerprint of one text, unsigned."""
+    hashes = shingles(text, width)
+    return _majority(hashes) if len(hashes) else 0
 
 
 def _majority(hashes: np.ndarray) -> int:
