@@ -1,10 +1,12 @@
 """LM scoring by cross-entropy difference of two matched n-gram models.
 
 A target model is counted on the documents labelled good, a background model on all documents. Both are
-word-pair models backed off to words, with the same weights over the same vocabulary: words and pairs
-are numbered by the cells that they hash to, so that the models' size is fixed beforehand (WORD_BITS,
-PAIR_BITS) and neither model can name a word that the other lacks. Counts are summed over the whole
-corpus, cell by cell within each task and then by one aggregate. A document's score is the mean over its
+word-pair models backed off to words, with the same weights over the same vocabulary, that of all documents;
+words are known by 64-bit digests and pairs by the digests of both, so the models grow with the corpus and
+nothing shares a count. Documents are dealt to chunks of about CHUNK bytes. Each chunk numbers its distinct
+words and pairs and sends its counts of them; equal ones meet in one shuffle, are summed, and the sums go
+back to the chunks that sent them, which score their documents. No model is ever in one place. With
+``word_bits`` and ``pair_bits``, digests are cut to cells. A document's score is the mean over its
 words of target loss less background loss; the lower, the more it reads like the target.
 
 Defined results: a document without words, or null, has losses and score null; a document counts once for
@@ -14,98 +16,104 @@ the uniform one. Rows with a null or repeated doc_id each get a row. Other colum
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from subwin.llm.common import map_batches, partitions, table, texts
+from subwin.llm.common import table, texts
 from subwin.storage import Scratch
 
-#: Cells of words and of word pairs, as powers of two; weights of pair, word and uniform model.
-WORD_BITS, PAIR_BITS = 18, 21
+#: Weights of pair, word and uniform model; bytes of text in a chunk.
 MIX = (0.55, 0.4, 0.05)
+CHUNK = 8 << 20
 START = 0x51ED270B
 
 
-def cells(words: list[bytes], word_bits: int = WORD_BITS, pair_bits: int = PAIR_BITS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Of each word: its cell, the cell of the word before it, and the cell of the two."""
-    hashes = np.fromiter(map(xxhash.xxh3_64_intdigest, words), np.uint64, len(words))
-    before = np.append(np.uint64(START), hashes[:-1])
-    pair = before * np.uint64(0x9E3779B97F4A7C15) + hashes
-    pair ^= pair >> np.uint64(31)
-    pair *= np.uint64(0xBF58476D1CE4E5B9)
-    high = lambda x, bits: (x >> np.uint64(64 - bits)).astype(np.int64)
-    return high(hashes, word_bits), high(before, word_bits), high(pair, pair_bits)
-
-
-def count_cells(docs: DataFrame, word_bits: int = WORD_BITS, pair_bits: int = PAIR_BITS) -> DataFrame:
-    """kind (0: words, 1: words as contexts, 2: pairs), cell, background and target counts of ``docs`` (text, good)."""
-    sizes = (1 << word_bits, 1 << word_bits, 1 << pair_bits)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counts = [[np.zeros(n, np.int64) for n in sizes] for _ in range(2)]
-        for batch in batches:
-            for text, good in zip(texts(batch), batch.column(1), strict=True):
-                words = text.encode().split()
-                if words:
-                    for kind, found in enumerate(cells(words, word_bits, pair_bits)):
-                        cell, n = np.unique(found, return_counts=True)
-                        counts[0][kind][cell] += n
-                        if good.as_py():
-                            counts[1][kind][cell] += n
-        for kind in range(3):
-            cell = np.flatnonzero(counts[0][kind])
-            for part in np.array_split(cell, len(cell) // 65_536 + 1):
-                if len(part):
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), kind, np.int32)), pa.array(part), pa.array(counts[0][kind][part]), pa.array(counts[1][kind][part])], names=["kind", "cell", "background", "target"])
-
-    found = docs.select("text", "good").mapInArrow(run, "kind int, cell long, background long, target long")
-    return found.groupBy("kind", "cell").agg(F.sum("background").alias("background"), F.sum("target").alias("target"))
-
-
-def losses(words: list[bytes], model: list[np.ndarray], mix=MIX, word_bits: int = WORD_BITS, pair_bits: int = PAIR_BITS) -> float:
-    """Mean loss of the words, in nats, under a model: counts of words, of contexts and of pairs."""
-    word, before, pair = cells(words, word_bits, pair_bits)
-    total = model[0].sum() if len(model) < 4 else model[3]
-    context = model[1][before]
-    p = mix[0] * model[2][pair] / np.maximum(context, 1) + mix[1] * model[0][word] / max(total, 1) + mix[2] / (1 << word_bits)
-    return float(-np.log(p).mean())
-
-
-def score(docs: DataFrame, labels: DataFrame, mix=MIX, word_bits: int = WORD_BITS, pair_bits: int = PAIR_BITS) -> DataFrame:
-    """doc_id, n_words, target_loss, background_loss and score of each document (doc_id, text), given labels (doc_id, quality)."""
-    spark = docs.sparkSession
-    good = labels.where("quality = 1").select("doc_id").distinct().withColumn("good", F.lit(True))
-    # dealt to as many tasks as the session has partitions, at any size: each task sends a row for each of its cells
-    rows = docs.where("doc_id is not null").select("doc_id", "text").repartition(partitions(spark), "doc_id")
-    known = rows.join(good, "doc_id", "left").select("text", F.coalesce("good", F.lit(False)).alias("good"))
-    known = known.unionByName(docs.where("doc_id is null").select("text", F.lit(False).alias("good")))
-    counted = Scratch(spark, "lm").save(count_cells(known, word_bits, pair_bits), "cells")
-    # at most 2 ** (WORD_BITS + 1) + 2 ** PAIR_BITS rows whatever the corpus: the models' fixed size
-    models = [[np.zeros(1 << bits, np.int64) for bits in (word_bits, word_bits, pair_bits)] for _ in range(2)]
-    for batch in counted.toArrow().to_batches():
-        kind, cell, *counts = (batch.column(i).to_numpy(zero_copy_only=False) for i in range(4))
-        for model, n in zip(models, counts, strict=True):
-            for k in range(3):
-                model[k][cell[kind == k]] = n[kind == k]
-    sent = spark.sparkContext.broadcast([[*(m.astype(np.float64) for m in model[:2]), model[2].astype(np.float32), float(model[0].sum())] for model in models])
-
-    def run(batch: pa.RecordBatch) -> pa.RecordBatch:
-        background, target = sent.value
-        n, of_target, of_background = [], [], []
+def numbered(docs: pa.Table, word_bits: int | None, pair_bits: int | None) -> tuple:
+    """Words of each document of a chunk; distinct words and contexts (digests or cells), distinct pairs (two keys); of each word the numbers of itself, of the one before and of the two."""
+    found, lengths = [], []
+    for batch in docs.to_batches():
         for text in texts(batch):
             words = text.encode().split()
-            n.append(len(words))
-            of_target.append(losses(words, target, mix, word_bits, pair_bits) if words else None)
-            of_background.append(losses(words, background, mix, word_bits, pair_bits) if words else None)
-        return pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(of_target, pa.float64()), pa.array(of_background, pa.float64())], names=["doc_id", "n_words", "target_loss", "background_loss"])
-
+            lengths.append(len(words))
+            found.append(np.fromiter(map(xxhash.xxh3_64_intdigest, words), np.uint64, len(words)))
+    lengths = np.array(lengths, np.int64)
+    word = np.concatenate([np.empty(0, np.uint64), *found])
+    before = np.append(np.uint64(START), word[:-1])[: len(word)]
+    before[(np.cumsum(lengths) - lengths)[lengths > 0]] = START
+    if pair_bits is not None:
+        pair = before * np.uint64(0x9E3779B97F4A7C15) + word
+        pair ^= pair >> np.uint64(31)
+        pair *= np.uint64(0xBF58476D1CE4E5B9)
+    if word_bits is not None:
+        word, before = word >> np.uint64(64 - word_bits), before >> np.uint64(64 - word_bits)
+    known, number = np.unique(np.concatenate([word, before]), return_inverse=True)
+    word, before = number[: len(word)], number[len(word) :]
+    if pair_bits is not None:
+        first, pair = np.unique(pair >> np.uint64(64 - pair_bits), return_inverse=True)
+        second = np.zeros(len(first), np.uint64)
+    else:
+        both, pair = np.unique(before * len(known) + word, return_inverse=True)
+        first, second = known[both // max(1, len(known))], known[both % max(1, len(known))]
+    return lengths, known, (first, second), (word, before, pair)
+
+
+def count(docs: DataFrame, good: DataFrame, word_bits: int | None, pair_bits: int | None) -> DataFrame:
+    """chunk and place, kind (0: words, 1: words as contexts, 2: pairs), key and counts of what each chunk of ``docs`` holds."""
+    schema = "chunk int, place int, kind int, k1 long, k2 long, n long, g long"
+
+    def run(docs: pa.Table, good: pa.Table) -> pa.Table:
+        lengths, known, pairs, numbers = numbered(docs.select(["text"]), word_bits, pair_bits)
+        of_target = pc.is_in(docs["doc_id"], value_set=good["doc_id"].combine_chunks()).to_numpy(zero_copy_only=False).astype(bool)
+        mine = np.repeat(of_target, lengths)
+        out, base = [], 0
+        for kind, (number, key) in enumerate(zip(numbers, ((known, None), (known, None), pairs), strict=True)):
+            n = np.bincount(number, minlength=len(key[0]))
+            g = np.bincount(number[mine], minlength=len(key[0]))
+            at = np.flatnonzero(n)
+            k2 = np.zeros(len(at), np.uint64) if key[1] is None else key[1][at]
+            out.append((at + base, np.full(len(at), kind), key[0][at].view(np.int64), k2.view(np.int64), n[at], g[at]))
+            base += len(key[0])
+        place, kind, *rest = (np.concatenate(x) for x in zip(*out, strict=True))
+        chunk = np.full(len(place), docs["chunk"][0].as_py() if docs.num_rows else 0, np.int32)
+        return pa.table([pa.array(x) for x in (chunk, place.astype(np.int32), kind.astype(np.int32), *rest)], names=["chunk", "place", "kind", "k1", "k2", "n", "g"])
+
+    return docs.groupBy("chunk").cogroup(good.groupBy("chunk")).applyInArrow(run, schema)
+
+
+def score(docs: DataFrame, labels: DataFrame, mix=MIX, word_bits: int | None = None, pair_bits: int | None = None, chunk: int = CHUNK) -> DataFrame:
+    """doc_id, n_words, target_loss, background_loss and score of each document (doc_id, text), given labels (doc_id, quality)."""
     id_type = docs.schema["doc_id"].dataType.simpleString()
-    return map_batches(docs.select("doc_id", "text"), run, f"doc_id {id_type}, n_words long, target_loss double, background_loss double").withColumn("score", F.col("target_loss") - F.col("background_loss"))
+    chunks = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    chunks = int(chunks) // chunk + 1
+    dealt = lambda key: F.pmod(key, F.lit(chunks)).cast("int").alias("chunk")
+    by_id = F.xxhash64(F.col("doc_id"))
+    rows = docs.select(dealt(F.when(F.col("doc_id").isNull(), F.xxhash64("text")).otherwise(by_id)), "doc_id", "text")
+    good = labels.where("quality = 1 and doc_id is not null").select(F.col("doc_id").cast(id_type).alias("doc_id")).distinct().select(dealt(by_id), "doc_id")
+    same = Window.partitionBy("kind", "k1", "k2")
+    summed = count(rows, good, word_bits, pair_bits).withColumn("at", F.struct("chunk", "place"))
+    summed = summed.select("chunk", "place", "kind", F.sum("n").over(same).alias("background"), F.sum("g").over(same).alias("target"), (F.min("at").over(same) == F.col("at")).alias("first"))
+    summed = Scratch(docs.sparkSession, "lm").save(summed, "summed")
+    size, *totals = summed.where("kind = 0 and first").agg(F.count("*"), F.coalesce(F.sum("background"), F.lit(0)), F.coalesce(F.sum("target"), F.lit(0))).first()
+    uniform = mix[2] / (max(1, size) if word_bits is None else 1 << word_bits)
+
+    def run(docs: pa.Table, sums: pa.Table) -> pa.Table:
+        lengths, known, pairs, (word, before, pair) = numbered(docs.select(["text"]), word_bits, pair_bits)
+        of = np.repeat(np.arange(len(lengths)), lengths)
+        place, found = sums["place"].to_numpy(), []
+        for name, total in zip(("background", "target"), totals, strict=True):
+            model = np.zeros(2 * len(known) + len(pairs[0]))
+            model[place] = sums[name].to_numpy()
+            p = mix[0] * model[2 * len(known) + pair] / np.maximum(model[len(known) + before], 1) + mix[1] * model[word] / max(total, 1) + uniform
+            found.append(np.bincount(of, -np.log(p), len(lengths)) / np.maximum(lengths, 1))
+        none = lengths == 0
+        return pa.table([docs["doc_id"], pa.array(lengths), pa.array(found[1], mask=none), pa.array(found[0], mask=none)], names=["doc_id", "n_words", "target_loss", "background_loss"])
+
+    scored = rows.groupBy("chunk").cogroup(summed.select("chunk", "place", "background", "target").groupBy("chunk"))
+    return scored.applyInArrow(run, f"doc_id {id_type}, n_words long, target_loss double, background_loss double").withColumn("score", F.col("target_loss") - F.col("background_loss"))
 
 
 def op4_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
