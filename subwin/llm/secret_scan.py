@@ -27,9 +27,10 @@ ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x2
 ACCESS, HEX = re.compile(r"AKIA[A-Z0-9]+"), re.compile(r"[0-9a-f]{24,}")
 LEAST_ASSIGN, LEAST_ACCESS, LEAST_HEX = 6, 20, 24
 
-#: Candidates: at least 16 characters of the base64 alphabets, with a letter and a digit; and words that make their surroundings sensitive.
-CANDIDATE = re.compile(r"(?<![A-Za-z0-9+/_=-])(?=[A-Za-z+/_=-]*[0-9])(?=[0-9+/_=-]*[A-Za-z])[A-Za-z0-9+/_=-]{16,}")
-SENSITIVE = re.compile(r"passw|pwd|secret|token|api.?key|credential|private.?key|access.?key|auth|bearer|signature|\bkey\b|ssh-|BEGIN", re.IGNORECASE)
+#: Candidates: at least 16 characters of the base64 alphabets, with a letter and a digit, and '=' only as padding, so that
+#: a name before '=' belongs to the surroundings; and words that make their surroundings sensitive.
+CANDIDATE = re.compile(r"(?<![A-Za-z0-9+/_-])(?=[A-Za-z+/_-]*[0-9])(?=[0-9+/_-]*[A-Za-z])[A-Za-z0-9+/_-]{16,}(?:={1,2}(?![A-Za-z0-9+/_=-]))?")
+SENSITIVE = re.compile(r"passw|pwd|secret|token|api.?key|credential|private.?key|access.?key|auth|bearer|signature|(?<![A-Za-z0-9])key(?![A-Za-z0-9])|ssh-|BEGIN", re.IGNORECASE)
 AROUND, NOVEL = 120, 0.8
 #: Identifiers and code that the compressor knows beforehand.
 IDENTIFIERS = """

@@ -1,0 +1,19 @@
+"""Secrets whose own name, before '=', is all that makes them sensitive."""
+
+import random
+import string
+
+import pytest
+
+from subwin.llm import secret_scan
+
+
+@pytest.mark.parametrize("name, size", [("AWS_SECRET_ACCESS_KEY", 40), ("DB_PASSWORD_PROD", 20), ("PRIVATE_KEY", 20), ("auth", 20), ("ENCRYPTION_KEY", 20)])
+def test_named_secrets(name, size):
+    r = random.Random(size)
+    value = "9a" + "".join(r.choice(string.ascii_letters + string.digits) for _ in range(size - 2))
+    novelty = secret_scan.Novelty()
+    for padding in ("", "=="):
+        text = f"first line\n{name}={value}{padding}\nlast line\n"
+        start = text.index(value)
+        assert secret_scan.novel_spans(text, secret_scan.base_spans(text), novelty) == [(start, 3, start + size + len(padding))]
