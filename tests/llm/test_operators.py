@@ -9,7 +9,7 @@ from collections import Counter, defaultdict
 import pytest
 import xxhash
 
-from subwin.llm import bpe, exact_dedup, license_scan, lm_scoring, quality_rules, secret_scan, simhash_dedup, source_mixing, substring_dedup, url_filters
+from subwin.llm import bpe, exact_dedup, license_scan, quality_rules, secret_scan, simhash_dedup, source_mixing, substring_dedup, url_filters
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 
@@ -186,47 +186,6 @@ def test_bpe_prefixes(vocabulary):
     assert long.edit(20, 22, b"xy") < 200
 
 
-def test_lm_scoring(spark, docs, rows, none):
-    labels = spark.createDataFrame([(i, int(i % 2)) for i in range(40)] + [(None, 1)], "doc_id long, quality int")
-    bits = dict(word_bits=6, pair_bits=8)
-    got = lm_scoring.score(docs, labels, **bits).collect()
-    mixed = lambda h, n: h >> (64 - n)
-    counts = [defaultdict(int) for _ in range(2)]
-    mask = 2**64 - 1
-
-    def grams(ws):
-        before = lm_scoring.START
-        for w in ws:
-            h = xxhash.xxh3_64_intdigest(w.encode())
-            pair = (before * 0x9E3779B97F4A7C15 + h) & mask
-            pair = ((pair ^ pair >> 31) * 0xBF58476D1CE4E5B9) & mask
-            yield ("w", mixed(h, 6)), ("c", mixed(before, 6)), ("p", mixed(pair, 8))
-            before = h
-
-    for i, text, *_ in rows:
-        for three in grams(words(text)):
-            for model, use in zip(counts, (True, i is not None and i < 40 and i % 2 == 1)):
-                if use:
-                    for cell in (*three, "n"):
-                        model[cell] += 1
-    want = {}
-    for i, text, *_ in rows:
-        ws = words(text)
-        loss = []
-        for model in counts:
-            p = [0.55 * model[x] / max(model[c], 1) + 0.4 * model[w] / max(model["n"], 1) + 0.05 / 64 for w, c, x in grams(ws)]
-            loss.append(sum(-math.log(x) for x in p) / len(p) if p else None)
-        want[i, len(ws)] = loss
-    assert len(got) == len(rows)
-    for x in got:
-        background, target = want[x.doc_id, x.n_words]
-        if x.n_words:
-            assert x.target_loss == pytest.approx(target) and x.background_loss == pytest.approx(background) and x.score == pytest.approx(target - background, abs=1e-6)
-        else:
-            assert x.score is None
-    assert lm_scoring.score(none, labels, **bits).count() == 0
-
-
 def test_source_targets(spark):
     def plain(sizes):
         names = sorted((s for s in sizes if s is not None)) + [None] * (None in sizes)
