@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 from subwin.llm.common import map_batches, table, texts
 
 #: Most entries of a worker's memos of words and of pairs.
-MEMO = 400_000
+MEMO, LONG = 400_000, 40
 #: Unicode white space, and runs of two or more of it.
 SPACES = "\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
 RUNS = regex.compile(f"([{SPACES}]{{2,}})")
@@ -178,10 +178,14 @@ class Prefixes:
 
 
 class Encoder:
-    """Encodes and decodes whole texts; keeps a memo of words, for words recur."""
+    """Encodes and decodes whole texts; keeps a memo of up to MEMO words of less than LONG characters, for words recur.
 
-    def __init__(self, ranks: dict[bytes, int], pattern: str):
-        self.vocabulary = Vocabulary(ranks)
+    ``by_words``: the pattern never matches over the start of a single space between two words, so that words
+    can be looked up whole. That holds for the public pattern; for others the default is to ask the pattern only.
+    """
+
+    def __init__(self, ranks: dict[bytes, int], pattern: str, by_words: bool = False):
+        self.vocabulary, self.by_words = Vocabulary(ranks), by_words
         self.find = regex.compile(pattern).findall
         self._words: dict[str, tuple[int, ...]] = {}
         self._parts: dict[str, list[int]] = {}
@@ -193,16 +197,18 @@ class Encoder:
         known = self._parts.get(piece)
         if known is None:
             known = self.vocabulary.encode(piece.encode())
-            if len(piece) < 40:  # a long one hardly recurs
+            if len(piece) < LONG:  # a long one hardly recurs
                 if len(self._parts) >= MEMO:
                     self._parts.clear()
                 self._parts[piece] = known
         return known
 
     def encode(self, text: str) -> array:
-        """Ids of a text. The pattern never matches over the start of a single space between two words,
-        so a word with the space before it can be looked up whole; runs of white space go to the pattern."""
+        """Ids of a text. By words, each word is looked up with the space before it; runs of white space go to the pattern."""
         ids = array("I")
+        if not self.by_words:
+            ids.extend(self._pieces(text))
+            return ids
         parts = RUNS.split(text)
         for i, part in enumerate(parts):
             if i % 2:  # a run: its last character may belong to the word after it
@@ -229,6 +235,8 @@ class Encoder:
     def _learn(self, word: str) -> tuple[int, ...]:
         known = self._words.get(word)
         if known is None:
+            if len(word) >= LONG:
+                return self._pieces(" " + word)
             if len(self._words) >= MEMO:
                 self._words.clear()
             known = self._words[word] = self._pieces(" " + word)
@@ -241,19 +249,20 @@ class Encoder:
 _ENCODERS: dict[str, Encoder] = {}
 
 
-def encode_documents(docs: DataFrame, ranks: dict[bytes, int], pattern: str, with_ids: bool = False) -> DataFrame:
+def encode_documents(docs: DataFrame, ranks: dict[bytes, int], pattern: str, with_ids: bool = False, by_words: bool | None = None) -> DataFrame:
     """doc_id, n_tokens, ids_sha256 and decoded_sha256 of each document (doc_id, text); ``with_ids`` adds the ids.
 
-    The vocabulary is broadcast: its size is that of the tokenizer, whatever the data's.
+    ``by_words`` (see Encoder) is true for the public pattern unless given. The vocabulary is broadcast: its size is that of the tokenizer, whatever the data's.
     """
     spark = docs.sparkSession
-    name = hashlib.sha256(repr((sorted(ranks.items()), pattern)).encode()).hexdigest()
+    by_words = pattern == public_pattern() if by_words is None else by_words
+    name = hashlib.sha256(repr((sorted(ranks.items()), pattern, by_words)).encode()).hexdigest()
     sent = spark.sparkContext.broadcast(ranks)
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
         encoder = _ENCODERS.get(name)
         if encoder is None:
-            encoder = _ENCODERS[name] = Encoder(sent.value, pattern)
+            encoder = _ENCODERS[name] = Encoder(sent.value, pattern, by_words)
         counts, ids_sha, decoded_sha, lists = [], [], [], []
         for text in texts(batch):
             ids = encoder.encode(text)
@@ -281,10 +290,16 @@ def decode_documents(encoded: DataFrame, ranks: dict[bytes, int]) -> DataFrame:
     return map_batches(encoded.select("doc_id", "ids"), run, f"doc_id {encoded.schema['doc_id'].dataType.simpleString()}, text binary")
 
 
+def public_pattern() -> str:
+    import public_tokenizers
+
+    return public_tokenizers.PATTERN
+
+
 def public_vocabulary(name: str = "byte_bpe_multi_50k.tiktoken") -> tuple[dict[bytes, int], str]:
     import public_tokenizers
 
-    return read_ranks(public_tokenizers.path(name)), public_tokenizers.PATTERN
+    return read_ranks(public_tokenizers.path(name)), public_pattern()
 
 
 def op3_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:

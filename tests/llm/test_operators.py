@@ -143,12 +143,13 @@ def vocabulary():
     return bpe.public_vocabulary()
 
 
-def test_bpe(docs, rows, none, vocabulary):
+@pytest.mark.parametrize("by_words", [False, True])
+def test_bpe(docs, rows, none, vocabulary, by_words):
     import tiktoken
 
     ranks, pattern = vocabulary
     library = tiktoken.Encoding("own", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
-    encoder = bpe.Encoder(ranks, pattern)
+    encoder = bpe.Encoder(ranks, pattern, by_words=by_words)
     r = random.Random(1)
     parts = [" ", "  ", "\n", "\t", "a", "the", "é", "中", "1", "23", "'s", "'ll", "!", "#*", "\x85", "\xa0", "\x1c", "ation", "er", "X", "😀", "  \n", " '", "́"]
     for _ in range(3000):
@@ -160,7 +161,7 @@ def test_bpe(docs, rows, none, vocabulary):
     for i, text, *_ in rows:
         ids = library.encode_ordinary(text or "")
         want.append((i, len(ids), hashlib.sha256(b"".join(x.to_bytes(4, "little") for x in ids)).hexdigest(), hashlib.sha256((text or "").encode()).hexdigest()))
-    same_rows(bpe.encode_documents(docs, ranks, pattern).collect(), want)
+    same_rows(bpe.encode_documents(docs, ranks, pattern, by_words=by_words).collect(), want)
     back = bpe.decode_documents(bpe.encode_documents(docs, ranks, pattern, with_ids=True), ranks).collect()
     same_rows([(x.doc_id, bytes(x.text)) for x in back], [(i, (t or "").encode()) for i, t, *_ in rows])
     assert bpe.encode_documents(none, ranks, pattern).count() == 0
