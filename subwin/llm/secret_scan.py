@@ -1,7 +1,7 @@
 """Secret scans: fixed patterns, and strings that compress badly where secrets are kept.
 
 The base kinds assign, access and hex are patterns. The method's kind, novel, looks at long strings
-of letters, digits and signs that hold both letters and digits near a sensitive word: it compresses the
+of letters, digits and signs, of both letters and digits or of mixed case, near a sensitive word: it compresses the
 text around the string with and without it, by zstandard primed with a dictionary of identifiers and
 code, and reports the string if each of its characters costs more than NOVEL bytes. Names and paths cost
 little, for their parts are in the dictionary or nearby; random strings cost nearly what their alphabet
@@ -27,9 +27,9 @@ ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x2
 ACCESS, HEX = re.compile(r"AKIA[A-Z0-9]+"), re.compile(r"[0-9a-f]{24,}")
 LEAST_ASSIGN, LEAST_ACCESS, LEAST_HEX = 6, 20, 24
 
-#: Candidates: at least 16 characters of the base64 alphabets, with a letter and a digit, and '=' only as padding, so that
-#: a name before '=' belongs to the surroundings; and words that make their surroundings sensitive.
-CANDIDATE = re.compile(r"(?<![A-Za-z0-9+/_-])(?=[A-Za-z+/_-]*[0-9])(?=[0-9+/_-]*[A-Za-z])[A-Za-z0-9+/_-]{16,}(?:={1,2}(?![A-Za-z0-9+/_=-]))?")
+#: Candidates: at least 12 characters of the base64 alphabets, of a letter and a digit or of a lower-case letter before a capital, with
+#: '=' only as padding, so that a name before '=' belongs to the surroundings; and words that make their surroundings sensitive.
+CANDIDATE = re.compile(r"(?<![A-Za-z0-9+/_-])(?=[A-Z0-9+/_-]*[a-z][a-z+/_-]*[A-Z0-9]|[a-z0-9+/_-]*[A-Z][A-Z+/_-]*[0-9]|[+/_-]*[0-9][0-9+/_-]*[A-Za-z])[A-Za-z0-9+/_-]{12,}(?:={1,2}(?![A-Za-z0-9+/_=-]))?")
 SENSITIVE = re.compile(r"passw|pwd|secret|token|api.?key|credential|private.?key|access.?key|auth|bearer|signature|(?<![A-Za-z0-9])key(?![A-Za-z0-9])|ssh-|BEGIN", re.IGNORECASE)
 AROUND, NOVEL = 120, 0.8
 #: Identifiers and code that the compressor knows beforehand.
