@@ -35,14 +35,30 @@ class DigestIndex:
         self.path, self.buckets = path, buckets
         spark.sql(f"CREATE TABLE IF NOT EXISTS {self.name} (digest BINARY, keep_id {id_type}) USING parquet CLUSTERED BY (digest) SORTED BY (digest) INTO {buckets} BUCKETS LOCATION '{path}'")
 
+    def close(self) -> None:
+        """Take the index out of the catalogue. Its files stay: a table of the same name over the same path has it again."""
+        self.spark.sql(f"DROP TABLE IF EXISTS {self.name}")
+
+    def compact(self, path: str) -> None:
+        """Write the index anew at ``path``, one sorted file for each bucket, which appends have made several of; then use that."""
+        schema = self.rows().schema
+        fresh = DigestIndex(self.spark, path, self.buckets, f"{self.name}_{uuid.uuid4().hex[:8]}", schema["keep_id"].dataType.simpleString())
+        # as plain files: of the bucketed table the shuffle would be left out, and then the buckets be scanned as plain files all the same
+        fresh._write(self.spark.read.schema(schema).parquet(self.path))
+        self.close()
+        self.spark.sql(f"ALTER TABLE {fresh.name} RENAME TO {self.name}")
+        self.path = path
+
+    def _write(self, rows: DataFrame) -> None:
+        rows.select("digest", "keep_id").repartition(self.buckets, "digest").sortWithinPartitions("digest").write.mode("append").format("parquet").bucketBy(self.buckets, "digest").sortBy("digest").option("path", self.path).saveAsTable(self.name)
+
     def rows(self) -> DataFrame:
         return self.spark.table(self.name)
 
     def append(self, keepers: DataFrame) -> None:
         """Append the digests (digest, keep_id) that the index lacks."""
         known = self.rows()
-        new = keepers.join(known.select("digest").hint("merge"), "digest", "left_anti").select("digest", "keep_id")
-        new.repartition(self.buckets, "digest").sortWithinPartitions("digest").write.mode("append").format("parquet").bucketBy(self.buckets, "digest").sortBy("digest").option("path", self.path).saveAsTable(self.name)
+        self._write(keepers.join(known.select("digest").hint("merge"), "digest", "left_anti"))
 
     def ingest(self, docs: DataFrame) -> DataFrame:
         """Index a batch (doc_id, text); a row for each of its documents: doc_id, digest, keep_id, group_size (in the batch), kept.
@@ -66,9 +82,17 @@ def fresh_index(docs: DataFrame) -> DigestIndex:
     return DigestIndex(spark, Scratch(spark, "digests").root + "/index", partitions(spark), id_type=docs.schema["doc_id"].dataType.simpleString())
 
 
+def ingest_once(docs: DataFrame) -> DataFrame:
+    """``ingest`` into a fresh index that is given up again: what it returns reads no index."""
+    index = fresh_index(docs)
+    found = index.ingest(docs)
+    index.close()
+    return found
+
+
 def drop_copies(docs: DataFrame, index: DigestIndex | None = None) -> DataFrame:
     """``docs`` (doc_id, text, ...) with one row of each group of equal texts, and none of a group that ``index`` had; all columns stay."""
-    kept = (index or fresh_index(docs)).ingest(docs).where("kept").select(F.col("doc_id").alias("_subwin_id"), F.col("digest").alias("_subwin_digest"))
+    kept = (index.ingest(docs) if index else ingest_once(docs)).where("kept").select(F.col("doc_id").alias("_subwin_id"), F.col("digest").alias("_subwin_digest"))
     keyed = docs.withColumn("_subwin_text", digest(F.col("text")))
     found = keyed.join(kept, keyed["_subwin_text"].eqNullSafe(kept["_subwin_digest"]) & keyed["doc_id"].eqNullSafe(kept["_subwin_id"]), "left_semi")
     return found.dropDuplicates(["_subwin_text", "doc_id"]).select(*[F.col(f"`{c}`") for c in docs.columns])
@@ -76,7 +100,7 @@ def drop_copies(docs: DataFrame, index: DigestIndex | None = None) -> DataFrame:
 
 def op7_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
-    return fresh_index(docs).ingest(docs).select("doc_id", "keep_id", "group_size", "kept", F.lower(F.hex("digest")).alias("text_sha256"))
+    return ingest_once(docs).select("doc_id", "keep_id", "group_size", "kept", F.lower(F.hex("digest")).alias("text_sha256"))
 
 
 OP7_SQL = r"""
