@@ -1,6 +1,6 @@
 """License scans: whole texts looked up by the digest of their canonical form.
 
-The canonical form leaves out what licence texts may vary in: case, copyright lines, kinds of quotation
+The canonical form leaves out what licence texts may vary in: case, copyright statements, kinds of quotation
 marks and dashes, punctuation, white space, and spellings that the public matching guidelines for
 licence lists hold to be equal. The digest of a document's whole canonical text is hash-joined to the
 digests of known licences; a known text given in another case, layout or year is found, one with other
@@ -17,6 +17,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from subwin.llm.common import table
+from subwin.llm.license_texts import KNOWN
 
 #: Spellings that count as equal, as words of the canonical form, the first becoming the second.
 SPELLINGS = {
@@ -24,38 +25,37 @@ SPELLINGS = {
     "authorized": "authorised", "caliber": "calibre", "canceled": "cancelled", "catalog": "catalogue", "categories": "category",
     "center": "centre", "emphasized": "emphasised", "favor": "favour", "favorite": "favourite", "fulfil": "fulfill",
     "fulfilment": "fulfillment", "initialize": "initialise", "judgement": "judgment", "labeling": "labelling", "labor": "labour",
-    "licence": "license", "licenced": "licensed", "maximize": "maximise", "modeled": "modelled", "modeling": "modelling",
+    "licence": "license", "licenced": "licensed", "licences": "licenses", "maximize": "maximise", "modeled": "modelled", "modeling": "modelling",
     "noncommercial": "non commercial", "offense": "offence", "optimize": "optimise", "organization": "organisation", "organize": "organise",
     "practice": "practise", "program": "programme", "realize": "realise", "recognize": "recognise", "signaling": "signalling",
-    "sublicence": "sublicense", "utilization": "utilisation", "while": "whilst", "wilful": "willful",
+    "sublicence": "sublicense", "sublicences": "sublicenses", "utilization": "utilisation", "while": "whilst", "wilful": "willful",
 }
 
-#: Known licences and notices: id and whole text.
-KNOWN = [
-    ("MIT", 'MIT License\nCopyright (c) holders\nPermission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the "Software"), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions:\nThe above copyright notice and this permission notice shall be included in all copies or substantial portions of the Software.\nTHE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE.'),
-    ("ISC", 'ISC License\nCopyright (c) holders\nPermission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies.\nTHE SOFTWARE IS PROVIDED "AS IS" AND THE AUTHOR DISCLAIMS ALL WARRANTIES WITH REGARD TO THIS SOFTWARE INCLUDING ALL IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS. IN NO EVENT SHALL THE AUTHOR BE LIABLE FOR ANY SPECIAL, DIRECT, INDIRECT, OR CONSEQUENTIAL DAMAGES OR ANY DAMAGES WHATSOEVER RESULTING FROM LOSS OF USE, DATA OR PROFITS, WHETHER IN AN ACTION OF CONTRACT, NEGLIGENCE OR OTHER TORTIOUS ACTION, ARISING OUT OF OR IN CONNECTION WITH THE USE OR PERFORMANCE OF THIS SOFTWARE.'),
-    ("0BSD", 'Zero-Clause BSD\nPermission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted.\nTHE SOFTWARE IS PROVIDED "AS IS" AND THE AUTHOR DISCLAIMS ALL WARRANTIES WITH REGARD TO THIS SOFTWARE INCLUDING ALL IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS. IN NO EVENT SHALL THE AUTHOR BE LIABLE FOR ANY SPECIAL, DIRECT, INDIRECT, OR CONSEQUENTIAL DAMAGES OR ANY DAMAGES WHATSOEVER RESULTING FROM LOSS OF USE, DATA OR PROFITS, WHETHER IN AN ACTION OF CONTRACT, NEGLIGENCE OR OTHER TORTIOUS ACTION, ARISING OUT OF OR IN CONNECTION WITH THE USE OR PERFORMANCE OF THIS SOFTWARE.'),
-    ("Zlib", 'zlib License\nThis software is provided "as-is", without any express or implied warranty. In no event will the authors be held liable for any damages arising from the use of this software.\nPermission is granted to anyone to use this software for any purpose, including commercial applications, and to alter it and redistribute it freely, subject to the following restrictions:\n1. The origin of this software must not be misrepresented; you must not claim that you wrote the original software. If you use this software in a product, an acknowledgment in the product documentation would be appreciated but is not required.\n2. Altered source versions must be plainly marked as such, and must not be misrepresented as being the original software.\n3. This notice may not be removed or altered from any source distribution.'),
-    ("Apache-2.0-notice", "Licensed under the Apache License, Version 2.0."),
-    ("MIT-notice", "Released under the MIT License."),
-    ("GPL-3.0-notice", "This work is licensed under the GNU General Public License, version 3."),
-    ("CC-BY-NC-4.0-notice", "Licensed under CC BY-NC 4.0."),
-]
-
-#: A line that only says whose copyright it is, in lower case; and what parts words.
-COPYRIGHT_LINE = r"(^|\n)[^a-z\n]*(copyright|\(c\)|©)[^\n]*"
+#: The same of two words.
+PHRASES = {"copyright owner": "copyright holder", "copyright owners": "copyright holders", "per cent": "percent", "sub license": "sublicense", "non infringement": "noninfringement"}
+
+#: A statement, in lower case, of whose copyright it is: at the start of a line, with a mark or a year, up to the end of the line or
+#: to the first words of a licence on that line, which stay. The copyright notice of a licence's own sentences is none.
+STATEMENT = r"^[^a-z0-9\n]*(?:copyright[^a-z\n]*(?:\(c\)|©|[0-9]{4})|\(c\)|©)[^\n]*?($|permission is |permission to |redistribution and |licensed under |this (?:software|program|source|work|is) )"
 NOT_WORD = r"[^\p{L}\p{N}]+"
 
 
+def _doubled(phrase: str) -> str:
+    """A phrase where each word stands between two spaces of its own, so that plain replacement sees whole words."""
+    return " " + phrase.replace(" ", "  ") + " "
+
+
+EQUAL = {_doubled(one): _doubled(other) for one, other in (SPELLINGS | PHRASES).items()}
+
+
 def canonical(text: Column) -> Column:
     """The canonical form: lower-case words with one space between them."""
-    text = F.regexp_replace(F.lower(F.coalesce(text, F.lit(""))), COPYRIGHT_LINE, " ")
+    text = F.regexp_replace(F.lower(F.coalesce(text, F.lit(""))), "(?md)" + STATEMENT, " $1")
     text = F.trim(F.regexp_replace(text, NOT_WORD, " "))
-    # each word between two spaces of its own, so that plain replacement sees whole words
     spelt = F.concat(F.lit(" "), F.replace(text, F.lit(" "), F.lit("  ")), F.lit(" "))
-    for one, other in SPELLINGS.items():
-        spelt = F.replace(spelt, F.lit(f" {one} "), F.lit(f" {other} "))
-    return F.when(text.rlike("(^| )(" + "|".join(SPELLINGS) + ")( |$)"), F.trim(F.replace(spelt, F.lit("  "), F.lit(" ")))).otherwise(text)
+    for one, other in EQUAL.items():
+        spelt = F.replace(spelt, F.lit(one), F.lit(other))
+    return F.when(text.rlike("(^| )(" + "|".join([*SPELLINGS, *PHRASES]) + ")( |$)"), F.trim(F.replace(spelt, F.lit("  "), F.lit(" ")))).otherwise(text)
 
 
 def known_digests(spark: SparkSession, known=KNOWN) -> DataFrame:
@@ -75,10 +75,10 @@ def op8_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _sql_form(text: str) -> str:
-    form = f"regexp_replace(lower(coalesce({text}, '')), '(^|\\n)[^a-z\\n]*(copyright|\\(c\\)|©)[^\\n]*', ' ', 'g')"
+    form = f"regexp_replace(lower(coalesce({text}, '')), '(?m){STATEMENT}', ' \\1', 'g')"
     form = f"' ' || replace(trim(regexp_replace({form}, '[^\\p{{L}}\\p{{N}}]+', ' ', 'g')), ' ', '  ') || ' '"
-    for one, other in SPELLINGS.items():
-        form = f"replace({form}, ' {one} ', ' {other} ')"
+    for one, other in EQUAL.items():
+        form = f"replace({form}, '{one}', '{other}')"
     return f"trim(replace({form}, '  ', ' '))"
 
 
