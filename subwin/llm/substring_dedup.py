@@ -29,7 +29,8 @@ from subwin.storage import Scratch
 
 WINDOW, M = 35, 8
 #: Most windows of one super-k-mer, and of one bucket that is sorted by a single task.
-MOST_TOGETHER, MOST_WINDOWS = 4096, 200_000
+MOST_TOGETHER, MOST_WINDOWS = 4096, 16_384
+SALTS = 16
 
 
 def minimisers(words: list[bytes], window: int = WINDOW, m: int = M) -> np.ndarray:
@@ -77,16 +78,41 @@ def _occurrences(batch: pa.RecordBatch) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([batch.column(0).take(at), batch.column(1).take(at), pa.array(mini), pa.array(start.astype(np.int32)), pa.array(n.astype(np.int32)), pa.array(within)], names=["doc_id", "text_key", "mini", "start", "n", "within"])
 
 
-def _pack(batch: pa.RecordBatch) -> pa.RecordBatch:
-    out: list[list] = [[] for _ in range(5)]
-    for i, text in enumerate(texts(batch)):
+def _results(rows: list[tuple[int, list[bytes], list[bytes]]], with_text: bool) -> list[list]:
+    """Columns place, n_words, n_removed, kept_sha256 and kept, of places, words and kept words."""
+    joined = [b" ".join(left) for _, _, left in rows]
+    return [[i for i, _, _ in rows], [len(words) for _, words, _ in rows], [len(words) - len(left) for _, words, left in rows], [hashlib.sha256(x).hexdigest() for x in joined], [x.decode() if with_text else None for x in joined]]
+
+
+_RESULT = "n_words long, n_removed long, kept_sha256 string, kept string"
+_RESULT_TYPES = (pa.int64(), pa.int64(), pa.string(), pa.string())
+_STRING = ("mini", "hot", "start", "packed", "digest")
+_STRING_TYPES = (pa.int64(), pa.bool_(), pa.int32(), pa.binary(), pa.binary())
+
+
+def _pack(batch: pa.RecordBatch, with_text: bool) -> pa.RecordBatch:
+    """Of documents that have a list of super-k-mers: one row with the text, and one of each packed string; of others, the result."""
+    out: list[list] = [[] for _ in range(6)]
+    whole, done = [], []
+    for i, (text, found) in enumerate(zip(texts(batch), batch.column(3).to_pylist(), strict=True)):
         words = text.encode().split()
-        for x in batch.column(3)[i].as_py():
+        if found is None:
+            done.append((i, words, words))
+            continue
+        whole.append(i)
+        for x in found:
             packed = b" ".join(words[x["start"] : x["start"] + x["n"] + WINDOW - 1])
-            for column, value in zip(out, (i, x["mini"], x["start"], packed, hashlib.blake2b(packed, digest_size=16).digest()), strict=True):
+            for column, value in zip(out, (i, x["mini"], x["hot"], x["start"], packed, hashlib.blake2b(packed, digest_size=16).digest()), strict=True):
                 column.append(value)
-    at = pa.array(out[0], pa.int64())
-    return pa.RecordBatch.from_arrays([batch.column(0).take(at), batch.column(1).take(at), pa.array(out[1], pa.int64()), pa.array(out[2], pa.int32()), pa.array(out[3], pa.binary()), pa.array(out[4], pa.binary())], names=["doc_id", "text_key", "mini", "start", "packed", "digest"])
+    at, *results = _results(done, with_text)
+    nulls = lambda n, kinds: [pa.nulls(n, t) for t in kinds]
+    parts = [
+        [pa.array(out[0], pa.int64()), *map(pa.array, out[1:], _STRING_TYPES), *nulls(len(out[0]), _RESULT_TYPES), pa.nulls(len(out[0]), pa.string())],
+        [pa.array(at, pa.int64()), *nulls(len(at), _STRING_TYPES), *map(pa.array, results, _RESULT_TYPES), pa.nulls(len(at), pa.string())],
+        [pa.array(whole, pa.int64()), *nulls(len(whole), _STRING_TYPES), *nulls(len(whole), _RESULT_TYPES), batch.column(2).take(pa.array(whole, pa.int64())).cast(pa.string())],
+    ]
+    place, *columns = (pa.concat_arrays(x) for x in zip(*parts, strict=True))
+    return pa.RecordBatch.from_arrays([batch.column(0).take(place), batch.column(1).take(place), *columns], names=["doc_id", "text_key", *_STRING, "n_words", "n_removed", "kept_sha256", "kept", "text"])
 
 
 def windows_of(packed: bytes) -> list[bytes]:
@@ -125,33 +151,26 @@ def _count_bucket(rows: list[tuple[bytes, bytes, int]]) -> list[tuple[bytes, lis
     return [(digest, runs_of(np.array(sorted(k)))) for (digest, _, _), k in zip(rows, repeated, strict=True) if k]
 
 
-def _sweep(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[pa.RecordBatch]:
-    """Of rows sorted by minimiser: digest and runs of repeated windows; of buckets too large, packed and n instead of runs."""
-    bucket, held, windows, large = None, [], 0, False
-
-    def emit(rows):
-        digest, runs, packed, n = zip(*rows, strict=True)
-        return pa.RecordBatch.from_arrays([pa.array(digest, pa.binary()), pa.array(runs, _RUNS), pa.array(packed, pa.binary()), pa.array(n, pa.int64())], names=["digest", "runs", "packed", "n"])
+def _sweep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Of rows sorted by minimiser (mini, digest, packed, n): digest and runs of repeated windows."""
+    bucket, held = None, []
 
     def close() -> list:
-        if large:
-            return [(d, None, p, n) for d, p, n in held]
         if len(held) == 1 and held[0][2] > 1:
-            return [(held[0][0], [{"first": 0, "count": windows}], None, None)]
-        return [(d, runs, None, None) for d, runs in _count_bucket(held)]
+            return [(held[0][0], [{"first": 0, "count": held[0][1].count(b" ") + 2 - WINDOW}])]
+        return _count_bucket(held)
+
+    def emit(rows):
+        digest, runs = zip(*rows, strict=True)
+        return pa.RecordBatch.from_arrays([pa.array(digest, pa.binary()), pa.array(runs, _RUNS)], names=["digest", "runs"])
 
     for batch in batches:
         out = []
         for mini, digest, packed, n in zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True):
             if mini != bucket:
                 out += close()
-                bucket, held, windows, large = mini, [], 0, False
+                bucket, held = mini, []
             held.append((digest, packed, n))
-            windows += packed.count(b" ") + 2 - WINDOW
-            if windows > most:
-                large = True
-                out += close()
-                held = []
         if out:
             yield emit(out)
     if out := close():
@@ -167,24 +186,39 @@ def _window_digests(batch: pa.RecordBatch) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(out[0], pa.binary()), pa.array(out[1], pa.binary()), pa.array(out[2], pa.int32()), pa.array(out[3], pa.int64())], names=["window", "digest", "k", "n"])
 
 
-def repeated_runs(docs: DataFrame, scratch: Scratch, most: int = MOST_WINDOWS) -> DataFrame:
-    """For each row of ``docs`` (doc_id, text_key, text) that has any: runs of its windows that repeat, as first and count."""
+def repeated_runs(docs: DataFrame, scratch: Scratch, most: int = MOST_WINDOWS, with_text: bool = False) -> tuple[DataFrame, DataFrame]:
+    """Of ``docs`` (doc_id, text_key, text), in two frames: results of the documents that no other shares a minimiser
+    with; and the others, with runs of their windows that repeat, as first and count.
+
+    Texts travel to their super-k-mers; once packed, only the texts that may hold a repeat travel again, to their runs.
+    """
     id_type = docs.schema["doc_id"].dataType.simpleString()
     keys = f"doc_id {id_type}, text_key long"
     found = scratch.save(map_batches(docs.select("doc_id", "text_key", "text"), _occurrences, f"{keys}, mini long, start int, n int, within boolean"), "super_kmers")
-    shared = found.groupBy("mini").agg(F.sum(F.when(F.col("within"), 2).otherwise(1)).alias("times")).where("times > 1").select("mini")
-    travel = found.join(shared, "mini", "left_semi").groupBy("doc_id", "text_key").agg(F.collect_set(F.struct("start", "n", "mini")).alias("list"))
-    with_list = join_same(docs, travel, ["doc_id", "text_key"]).select("doc_id", "text_key", "text", "list")
-    packed = scratch.save(map_batches(with_list, _pack, f"{keys}, mini long, start int, packed binary, digest binary"), "packed")
+    shared = found.groupBy("mini").agg(F.sum(F.when(F.col("within"), 2).otherwise(1)).alias("times"), (F.sum("n") > most).alias("hot")).where("times > 1").select("mini", "hot")
+    travel = found.join(shared, "mini").groupBy("doc_id", "text_key").agg(F.collect_set(F.struct("start", "n", "mini", "hot")).alias("list"))
+    with_list = join_same(docs, travel, ["doc_id", "text_key"], "left").select("doc_id", "text_key", "text", "list")
+    met = scratch.save(map_batches(with_list, lambda batch: _pack(batch, with_text), f"{keys}, mini long, hot boolean, start int, packed binary, digest binary, {_RESULT}, text string"), "packed")
     scratch.drop("super_kmers")
-    distinct = packed.groupBy("mini", "digest", "packed").agg(F.count("*").alias("n"))
-    counted = scratch.save(distinct.repartition(partitions(docs.sparkSession), "mini").sortWithinPartitions("mini").select("mini", "digest", "packed", "n").mapInArrow(lambda batches: _sweep(batches, most), "digest binary, runs array<struct<first:int,count:int>>, packed binary, n long"), "counted")
-    large = scratch.save(map_batches(counted.where("packed is not null").select("digest", "packed", "n"), _window_digests, "window binary, digest binary, k int, n long"), "large")
-    often = large.groupBy("window").agg(F.sum("n").alias("times")).where("times > 1").select("window")
-    single = large.join(often, "window").groupBy("digest").agg(F.transform(F.collect_set("k"), lambda k: F.struct(k.alias("first"), F.lit(1).alias("count"))).alias("runs"))
-    flags = counted.where("runs is not null").select("digest", "runs").unionByName(single)
+    packed = met.where("packed is not null").select("doc_id", "text_key", *_STRING)
+    cold = packed.where("not hot").groupBy("mini", "digest", "packed").agg(F.count("*").alias("n"))
+    dealt = cold.repartition(partitions(docs.sparkSession), "mini").sortWithinPartitions("mini").select("mini", "digest", "packed", "n")
+    counted = scratch.save(dealt.mapInArrow(_sweep, "digest binary, runs array<struct<first:int,count:int>>"), "counted")
+    hot = packed.where("hot").groupBy("digest", "packed").agg(F.count("*").alias("n")).select("digest", "packed", "n")
+    large = scratch.save(map_batches(hot, _window_digests, "window binary, digest binary, k int, n long"), "large")
+    # a window may be in any number of strings: its strings are dealt to SALTS tasks
+    often = large.groupBy("window").agg(F.sum("n").alias("times")).where("times > 1").select("window", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
+    salted = large.withColumn("salt", F.pmod(F.xxhash64("digest"), F.lit(SALTS)).cast("int"))
+    single = salted.join(often, ["window", "salt"]).groupBy("digest").agg(F.transform(F.collect_set("k"), lambda k: F.struct(k.alias("first"), F.lit(1).alias("count"))).alias("runs"))
+    flags = counted.unionByName(single)
     hits = packed.select("doc_id", "text_key", "start", "digest").join(flags, "digest").select("doc_id", "text_key", "start", F.inline("runs"))
-    return hits.groupBy("doc_id", "text_key").agg(F.collect_set(F.struct((F.col("start") + F.col("first")).alias("first"), "count")).alias("runs"))
+    runs = hits.groupBy("doc_id", "text_key").agg(F.collect_set(F.struct((F.col("start") + F.col("first")).alias("first"), "count")).alias("runs"))
+    runs = scratch.save(runs, "runs")
+    for name in ("counted", "large"):
+        scratch.drop(name)
+    waiting = met.where("packed is null and kept_sha256 is null").select("doc_id", "text_key", "text")
+    done = met.where("kept_sha256 is not null").select("doc_id", "n_words", "n_removed", "kept_sha256", "kept")
+    return done, join_same(waiting, runs, ["doc_id", "text_key"], "left").select("doc_id", "text", "runs")
 
 
 def kept_words(words: list[bytes], runs: list[dict]) -> list[bytes]:
@@ -199,28 +233,19 @@ def kept_words(words: list[bytes], runs: list[dict]) -> list[bytes]:
 
 def drop_repeats(docs: DataFrame, with_text: bool = False, most: int = MOST_WINDOWS) -> DataFrame:
     """doc_id, n_words, n_removed and kept_sha256 of each document (doc_id, text); ``with_text`` adds kept, its kept
-    words joined by spaces; ``most`` windows of a bucket are sorted by one task."""
+    words joined by spaces; a minimiser of more than ``most`` windows is split by the windows' digests."""
     scratch = Scratch(docs.sparkSession, "substrings")
     rows = docs.select("doc_id", text_key(F.col("text")).alias("text_key"), "text")
-    runs = scratch.save(repeated_runs(rows, scratch, most), "runs")
-    for name in ("packed", "counted", "large"):
-        scratch.drop(name)
+    done, waiting = repeated_runs(rows, scratch, most, with_text)
 
     def cut(batch: pa.RecordBatch) -> pa.RecordBatch:
-        total, gone, sha, kept = [], [], [], []
-        for text, own in zip(texts(batch), batch.column(2), strict=True):
-            words = text.encode().split()
-            left = kept_words(words, own.as_py())
-            joined = b" ".join(left)
-            total.append(len(words))
-            gone.append(len(words) - len(left))
-            sha.append(hashlib.sha256(joined).hexdigest())
-            kept.append(joined.decode() if with_text else None)
-        return pa.RecordBatch.from_arrays([batch.column(0), pa.array(total, pa.int64()), pa.array(gone, pa.int64()), pa.array(sha), *([pa.array(kept, pa.string())] if with_text else [])], names=["doc_id", "n_words", "n_removed", "kept_sha256", *["kept"] * with_text])
+        split = [text.encode().split() for text in texts(batch)]
+        _, *results = _results([(i, words, kept_words(words, own.as_py())) for i, (words, own) in enumerate(zip(split, batch.column(2), strict=True))], with_text)
+        return pa.RecordBatch.from_arrays([batch.column(0), *map(pa.array, results, _RESULT_TYPES)], names=["doc_id", "n_words", "n_removed", "kept_sha256", "kept"])
 
     id_type = docs.schema["doc_id"].dataType.simpleString()
-    joined = join_same(rows, runs, ["doc_id", "text_key"], "left").select("doc_id", "text", "runs")
-    return map_batches(joined, cut, f"doc_id {id_type}, n_words long, n_removed long, kept_sha256 string" + ", kept string" * with_text)
+    found = done.unionByName(map_batches(waiting, cut, f"doc_id {id_type}, {_RESULT}"))
+    return found if with_text else found.drop("kept")
 
 
 def op6_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
