@@ -50,6 +50,9 @@ class Grid:
         reached = samples.withColumns({"low": F.expr(low), "high": F.expr(high)}).where("low <= high")
         return reached.withColumn("eval_t", F.expr(f"explode(transform(sequence(low, high), i -> {self.start} + i * {self.step}))")).drop("low", "high")
 
+    def points(self) -> list[int]:
+        return list(range(self.start, self.end + 1, self.step))
+
     def sql(self, view: str) -> str:
         return f"SELECT s.*, e.eval_t FROM ({view}) s JOIN (SELECT unnest(range({self.start}, {self.end} + 1, {self.step})) AS eval_t) e ON s.t > e.eval_t - {self.window} AND s.t <= e.eval_t"
 
@@ -58,11 +61,15 @@ class Grid:
 DAILY = Grid(1_704_067_200_000_000 + 10 * DAY, 1_704_067_200_000_000 + 30 * DAY, DAY, 10 * DAY)
 
 
-def over_time(samples: DataFrame, fn: str, grid: Grid) -> DataFrame:
-    """series, eval_t and result: ``fn`` over the samples of each window that has any."""
+def over_time(samples: DataFrame, fn: str, grid: Grid, arg: float | None = None) -> DataFrame:
+    """series, eval_t and result: ``fn`` over the samples of each window that has any. ``arg`` is the quantile, or how many
+    items; topk has a row of each item, with item and its count as result."""
+    if fn == "topk":
+        return top_items(samples, grid, int(arg)).select("series", "eval_t", "item", F.col("c").alias("result"))
     rows = grid.expand(samples)
     if fn in AGGREGATES:
-        return rows.withColumn("c", F.expr("cast(round(value * 100) AS bigint)")).groupBy("series", "eval_t").agg(F.expr(AGGREGATES[fn]).alias("result"))
+        aggregate = AGGREGATES[fn].replace("0.9", repr(float(arg))) if arg is not None else AGGREGATES[fn]
+        return rows.withColumn("c", F.expr("cast(round(value * 100) AS bigint)")).groupBy("series", "eval_t").agg(F.expr(aggregate).alias("result"))
     counts = rows.groupBy("series", "eval_t", "item").agg(F.count("*").alias("c"))
     return counts.groupBy("series", "eval_t").agg(F.expr(OF_COUNTS[fn]).alias("result"))
 

@@ -80,7 +80,8 @@ def strawman_query(spark: SparkSession, sf_dir: str) -> DataFrame:
 def sketch_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Bytes of a histogram by form: all sketches, hybrid, raw samples."""
     samples = series_view(spark, sf_dir, "ev_type")
-    spans, maps, _ = univ.build(samples, 100)
+    stored = univ.build(samples, 100)
+    spans, maps = stored.spans, stored.maps
     n = samples.groupBy("series").agg((F.count("*") * 16).alias("raw"))
     hybrid = maps.groupBy("series").agg((F.count("*") * univ.ENTRY_BYTES).alias("hybrid"))
     return spans.groupBy("series").agg((F.count("*") * univ.LARGE.cells * univ.CELL_BYTES).alias("sketches")).join(hybrid, "series").join(n, "series")

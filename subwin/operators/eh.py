@@ -46,11 +46,26 @@ def layouts(samples: DataFrame, k: int) -> DataFrame:
 
 
 def layout_count(samples: DataFrame, k: int) -> DataFrame:
-    """``samples`` with n (of the series) and bucket, 1 the oldest."""
-    placed = samples.join(layouts(samples, k), "series").withColumn("r", F.col("n") - F.col("seq") + 1)
-    level = F.size(F.filter("past", lambda x: x < F.col("r"))) - 1
-    index = F.expr("older[level] + cast(ceil((r - past[level]) / shiftleft(1L, level)) AS bigint)")
-    return placed.withColumn("level", level).withColumn("bucket", F.col("total") - index + 1).drop("r", "level", "past", "older", "total")
+    """``samples`` with n (of the series) and bucket, 1 the oldest.
+
+    Arithmetic on n and seq, row by row. With h = ceil(k / 2) and b = max(0, n - k) div 2 + h, the number of units that
+    reach level i is a(i) = (b >> (i - 1)) - h, so level i holds the samples up to position a(i) * 2 ** i that no higher
+    one does; and the sum of b >> j over all j is 2 b less the number of its bits, which gives the buckets before a level.
+    ``samples`` that have a column n, which has to count all of them by series, are joined with nothing.
+    """
+    if "n" not in samples.columns:
+        samples = samples.join(samples.groupBy("series").agg(F.count("*").alias("n")), "series")
+    h = -(-k // 2)
+    placed = samples.withColumn("b", F.expr(f"greatest(0L, n - {k}) div 2 + {h}"))
+    # of the sample and of the oldest one: the highest level that its position allows, then that or the next lower
+    for name, seq in (("level", "seq"), ("top", "1L")):
+        placed = placed.withColumn("x", F.expr(f"greatest(1L, (2 * b - {seq}) div {h})")).withColumn("e", F.expr("cast(floor(log2(x + 0.5D)) AS int)"))
+        placed = placed.withColumns({"a": F.expr(f"shiftleft(shiftright(b, greatest(e - 1, 0)) - {h}, e)"), "c": F.expr(f"shiftleft(shiftright(b, greatest(e - 2, 0)) - {h}, greatest(e - 1, 0))")})
+        placed = placed.withColumn(name, F.expr(f"CASE WHEN e > 0 AND a >= {seq} THEN e WHEN e > 1 AND c >= {seq} THEN e - 1 ELSE 0 END"))
+    placed = placed.withColumns({"s": F.expr("shiftright(b, greatest(level - 1, 0))"), "q": F.expr("shiftright(b, greatest(top - 1, 0))")}).withColumn("all", F.expr(f"q - bit_count(q) + {h}L * top"))
+    newest = "seq + all - 2 * b + bit_count(b)"
+    bucket = F.expr(f"CASE WHEN top = 0 THEN seq WHEN level = 0 THEN {newest} ELSE all - (s - bit_count(s) + {h}L * level) + shiftright(seq - 1, level) + 1 END")
+    return placed.withColumn("bucket", bucket).drop("b", "x", "e", "a", "c", "level", "top", "s", "q", "all")
 
 
 def bucket_spans(placed: DataFrame, *aggregates: Column) -> DataFrame:
@@ -131,14 +146,14 @@ class Fold:
         self.buckets = [b for b in self.buckets if b[1] >= pane]
 
 
-def layout_weight(panes: DataFrame, k: float, weight: Callable, merge: Callable, schema: str = "series string, bucket int, pane_lo long, pane_hi long, weight double") -> DataFrame:
+def layout_weight(panes: DataFrame, k: float, weight: Callable, merge: Callable, schema: str = "series string, bucket int, pane_lo long, pane_hi long, weight double", read: Callable = lambda x: x) -> DataFrame:
     """Bucket spans in panes, by a fold over each series' pane summaries (series, pane, summary): the fold
-    sees one fixed-size summary for each pane, never samples."""
+    sees one fixed-size summary for each pane, never samples. ``read`` makes a summary of what is in the column."""
 
     def fold(rows: pd.DataFrame) -> pd.DataFrame:
         folded = Fold(k, weight, merge)
         for pane, summary in rows.sort_values("pane")[["pane", "summary"]].itertuples(index=False):
-            folded.add(int(pane), summary)
+            folded.add(int(pane), read(summary))
         return pd.DataFrame([(rows["series"].iloc[0], i + 1, lo, hi, float(w)) for i, (lo, hi, _, w) in enumerate(folded.buckets)], columns=["series", "bucket", "pane_lo", "pane_hi", "weight"])
 
     return panes.select("series", "pane", "summary").groupBy("series").applyInPandas(fold, schema)
@@ -181,7 +196,7 @@ def layout_sql(view: str, k: int) -> str:
 
 def _layout_query(view: str, k: int):
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        return bucket_spans(layout_count(series_view(spark, sf_dir, view), k)).select("series", "bucket", "t_lo", "t_hi", "seq_lo", "seq_hi", "size")
+        return bucket_spans(layout_count(series_view(spark, sf_dir, view, counted=True), k)).select("series", "bucket", "t_lo", "t_hi", "seq_lo", "seq_hi", "size")
 
     return run
 
@@ -193,8 +208,9 @@ SQL: dict = {name: layout_sql(VIEWS[view].sql, k) + _SPANS for name, (view, k) i
 
 
 def fractions_of(samples: DataFrame, cuts: list[tuple[str, float, float]]) -> DataFrame:
-    """query, series, low, high: ranges (low, high] in positions, given as fractions back from the newest sample."""
-    n = samples.groupBy("series").agg(F.count("*").alias("n"))
+    """query, series, low, high: ranges (low, high] in positions, given as fractions back from the newest sample,
+    of the series of samples, or of buckets that say by n how many samples their series has."""
+    n = samples.groupBy("series").agg((F.max("n") if "n" in samples.columns else F.count("*")).alias("n"))
     rows = F.explode(F.array(*[F.struct(F.lit(q).alias("query"), F.lit(a).alias("a"), F.lit(b).alias("b")) for q, a, b in cuts])).alias("cut")
     return n.select("series", "n", rows).selectExpr("cut.query", "series", "n - cast(round(n * cut.a) AS bigint) AS low", "n - cast(round(n * cut.b) AS bigint) AS high")
 

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from subwin.operators.eh import CUTS, bucket_spans, fractions_of, fractions_sql, in_range, layout_count, query_range
 from subwin.sources.views import DRIFT_SQL, VIEWS, drifting, series_view
+from subwin.storage import Scratch
 
 K_EH, K_KLL = 50, 256
 
@@ -21,10 +22,15 @@ def build(samples: DataFrame, k_eh: int = K_EH, k_kll: int = K_KLL) -> DataFrame
     series of any length is spread over tasks. A sample whose value is null or NaN has its position but no
     value: size counts values, and a bucket without any is left out."""
     placed = layout_count(samples, k_eh).withColumn("valid", F.when(~F.isnan("value"), F.col("value")))
-    spans = bucket_spans(placed, F.expr(f"kll_sketch_agg_double(valid, {k_kll})").alias("sketch"), F.count("valid").alias("values"))
+    spans = bucket_spans(placed, F.expr(f"kll_sketch_agg_double(valid, {k_kll})").alias("sketch"), F.count("valid").alias("values"), F.max("n").alias("n"))
     return spans.where("values > 0").withColumn("size", F.col("values")).drop("values")
 
 
+def stored(samples: DataFrame, k_eh: int = K_EH, k_kll: int = K_KLL) -> DataFrame:
+    """``build``, written and read again: questions go to the table, not to the samples."""
+    return Scratch(samples.sparkSession, "kll").save(build(samples, k_eh, k_kll), "buckets")
+
+
 def merged(buckets: DataFrame, ranges: DataFrame, by: str = "seq") -> DataFrame:
     """query, series, sketch of all buckets of a range, samples in it, and the bound on the alignment's rank error.
 
@@ -48,20 +54,20 @@ def quantiles(buckets: DataFrame, ranges: DataFrame, phis: list[float], by: str
     return merged(buckets, ranges, by).select("query", "series", "samples", "buckets", "bound", each)
 
 
-def answer(samples: DataFrame, buckets: DataFrame, ranges: DataFrame, phis: list[float], narrow: str = "exact") -> DataFrame:
+def answer(samples: DataFrame, buckets: DataFrame, ranges: DataFrame, phis: list[float], narrow: str = "exact", by: str = "seq") -> DataFrame:
     """quantiles() with source cache. Ranges that lie inside one bucket are answered, by ``narrow``: exact, from
     the samples, with source exact; bucket, by the bucket that holds their end; null, not at all."""
-    found = quantiles(buckets, ranges, phis).withColumn("source", F.lit("cache"))
+    found = quantiles(buckets, ranges, phis, by).withColumn("source", F.lit("cache"))
     if narrow == "null":
         return found
-    missed = ranges.join(query_range(buckets, ranges).select("query", "series").distinct(), ["query", "series"], "left_anti")
+    missed = ranges.join(query_range(buckets, ranges, by).select("query", "series").distinct(), ["query", "series"], "left_anti")
     points = ", ".join(f"{p!r}D" for p in phis)
     if narrow == "bucket":
         # a wider range from just before the bucket's start
         starts = in_range(samples, missed).groupBy("query", "series").agg(F.min("seq").alias("at"))
         holders = buckets.join(starts, "series").where("seq_lo <= at and at <= seq_hi").select("query", "series", (F.col("seq_lo") - 1).alias("low"), F.col("at").alias("high"))
         return found.unionByName(quantiles(buckets, holders, phis).withColumn("source", F.lit("bucket")))
-    held = in_range(samples, missed).groupBy("query", "series").agg(F.count("*").alias("samples"), F.expr(f"percentile(value, array({points}))").alias("points"))
+    held = in_range(samples, missed, by).groupBy("query", "series").agg(F.count("*").alias("samples"), F.expr(f"percentile(value, array({points}))").alias("points"))
     each = F.inline(F.arrays_zip(F.expr(f"array({points})").alias("phi"), F.col("points").alias("estimate")))
     exact = held.select("query", "series", "samples", F.lit(0).cast("long").alias("buckets"), (1 / F.col("samples")).alias("bound"), each, F.lit("exact").alias("source"))
     return found.unionByName(exact)
@@ -93,8 +99,9 @@ POINTS = [0.0, 0.25, 0.5, 0.75, 0.9, 0.95, 0.99, 1.0]
 def _case(view, phis, cuts=CUTS, k_eh=K_EH, k_kll=K_KLL):
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         samples = view(spark, sf_dir)
-        ranges = fractions_of(samples, cuts)
-        found = judged(samples, answer(samples, build(samples, k_eh, k_kll), ranges, phis), ranges, k_kll)
+        buckets = stored(samples, k_eh, k_kll)
+        ranges = fractions_of(buckets, cuts)
+        found = judged(samples, answer(samples, buckets, ranges, phis), ranges, k_kll)
         return found.select("query", "series", "phi", "exact", "within_bound")
 
     return run
@@ -108,7 +115,7 @@ FROM v JOIN ranges r ON v.series = r.series AND seq > low AND seq <= high CROSS
 
 
 def _view(name: str):
-    return lambda spark, d: series_view(spark, d, name)
+    return lambda spark, d: series_view(spark, d, name, counted=True)
 
 
 DRILL = [("whole", 0.9, 0.0)] + [(f"tenth{i}", 0.1 * (i + 1), 0.1 * i) for i in range(10)] + [(f"hundredth{i}", 0.01 * (i + 1), 0.01 * i) for i in range(10)]
@@ -129,15 +136,17 @@ SQL["ehkll_drift"] = _case_sql(DRIFT_SQL, [0.5, 0.9])
 def raw_estimates(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Estimates, their true rank errors and bounds, for a look at the margins."""
     samples = drifting(spark, sf_dir)
-    ranges = fractions_of(samples, CUTS)
-    return judged(samples, quantiles(build(samples), ranges, [0.5, 0.9, 0.99]), ranges).drop("points")
+    buckets = stored(samples)
+    ranges = fractions_of(buckets, CUTS)
+    return judged(samples, quantiles(buckets, ranges, [0.5, 0.9, 0.99]), ranges).drop("points")
 
 
 def rank_queries(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The share of samples up to 50 in each range, exact and within the bound of the estimate."""
-    samples = series_view(spark, sf_dir, "ev_type")
-    ranges = fractions_of(samples, CUTS)
-    found = ranks(build(samples), ranges, 50.0)
+    samples = series_view(spark, sf_dir, "ev_type", counted=True)
+    buckets = stored(samples)
+    ranges = fractions_of(buckets, CUTS)
+    found = ranks(buckets, ranges, 50.0)
     exact = in_range(samples, ranges).groupBy("query", "series").agg((F.count_if(F.col("value") <= 50) / F.count("*")).alias("share"))
     return found.join(exact, ["query", "series"]).select("query", "series", F.round("share", 6).alias("exact"), (F.abs(F.col("rank") - F.col("share")) <= F.col("bound") + 2 * sketch_error(K_KLL)).alias("within_bound"))
 
@@ -148,5 +157,5 @@ SQL["ehkll_rank"] = f"WITH v AS ({VIEWS['ev_type'].sql}), {fractions_sql(CUTS)}
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Drill-down 0.9-quantiles of one series from the bucket table."""
-    samples = series_view(spark, sf_dir, "li_all")
-    return quantiles(build(samples), fractions_of(samples, DRILL), [0.9])
+    buckets = stored(series_view(spark, sf_dir, "li_all", counted=True))
+    return quantiles(buckets, fractions_of(buckets, DRILL), [0.9])

@@ -8,6 +8,7 @@ from __future__ import annotations
 
 import re
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -39,6 +40,7 @@ QUERY: dict[str, str] = {
     "join_left_outer": "SELECT d.doc_id, d.lang, l.quality FROM {documents} d LEFT JOIN {labels} l ON d.doc_id = l.doc_id",
     "join_full_outer": "SELECT coalesce(a.k, b.k) AS k, a.n AS n_click, b.n AS n_purchase FROM (SELECT user_id AS k, count(*) AS n FROM {events} WHERE event_type = 'click' AND value > 50 GROUP BY user_id) a FULL OUTER JOIN (SELECT user_id AS k, count(*) AS n FROM {events} WHERE event_type = 'purchase' AND value > 50 GROUP BY user_id) b ON a.k = b.k",
     "agg_partial_final": "SELECT l_returnflag, l_linestatus, count(*) AS n, sum(cast(round(l_extendedprice * 100) AS bigint)) / 100.0D AS total FROM {lineitem} GROUP BY l_returnflag, l_linestatus",
+    "agg_sort_based": "SELECT event_type, min(props) AS low, max(props) AS top, count(*) AS n FROM {events} GROUP BY event_type",
     "agg_distinct": "SELECT event_type, count(DISTINCT user_id) AS users FROM {events} GROUP BY event_type",
     "agg_multi_distinct": "SELECT event_type, count(DISTINCT user_id) AS users, count(DISTINCT get_json_object(props, '$.k')) AS ks FROM {events} GROUP BY event_type",
     "agg_filter_clause": "SELECT count(*) FILTER (WHERE event_type = 'click') AS clicks, count(*) FILTER (WHERE event_type = 'purchase') AS purchases FROM {events}",
@@ -87,6 +89,17 @@ def other_dialect(sql: str) -> str:
     return re.sub(r"\{(\w+)\}", r"\1", sql)
 
 
+def entropy_query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The entropy of users of each event type by a grouped function, which sees one row of each user, never events."""
+    counts = table(spark, sf_dir, "events").groupBy("event_type", "user_id").agg(F.count("*").alias("c"))
+
+    def entropy(rows: pd.DataFrame) -> pd.DataFrame:
+        share = rows["c"] / rows["c"].sum()
+        return pd.DataFrame({"event_type": [rows["event_type"].iloc[0]], "entropy": [round(float(-(share * np.log(share)).sum()), 6)]})
+
+    return counts.groupBy("event_type").applyInPandas(entropy, "event_type string, entropy double")
+
+
 QUERIES: dict = {name: _run(sql) for name, sql in QUERY.items()}
 SQL: dict = {name: other_dialect(sql) for name, sql in QUERY.items()}
 
@@ -224,11 +237,12 @@ def approximate_query(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES |= {
     "join_asof": asof_query, "join_range_bucketed": range_query, "agg_pivot": pivot_query, "sliding_window": sliding_query, "session_gap": session_query, "win_islands": islands_query,
     "arr_aggregate": array_query, "arr_explode": explode_query, "map_merge_counts": map_query, "json_struct_roundtrip": json_query, "proj_labels": labels_query, "str_tokens": tokens_query,
-    "scan_csv_roundtrip": csv_query, "date_trunc_pane": trunc_query, "udf_pandas_scalar": pandas_query, "agg_approximate": approximate_query,
+    "scan_csv_roundtrip": csv_query, "date_trunc_pane": trunc_query, "udf_pandas_scalar": pandas_query, "udaf_grouped": entropy_query, "agg_approximate": approximate_query,
 }
 SQL |= {
     "join_asof": "SELECT p.event_id, v.value AS latest_value FROM (SELECT * FROM events WHERE event_type = 'purchase') p ASOF LEFT JOIN (SELECT * FROM events WHERE event_type = 'view') v ON p.user_id = v.user_id AND p.ts >= v.ts",
     "join_range_bucketed": f"SELECT high, event_type, count(*) AS n, max(value) AS top FROM (SELECT 1704067200000000 + i * {DAY} AS high FROM range(2, 30) r(i)) JOIN events ON epoch_us(ts) > high - 2 * {DAY} AND epoch_us(ts) <= high GROUP BY high, event_type",
+    "udaf_grouped": "SELECT event_type, round(ln(sum(c)) - sum(c * ln(c)) / sum(c), 6) AS entropy FROM (SELECT event_type, user_id, count(*)::DOUBLE AS c FROM events GROUP BY ALL) GROUP BY event_type",
     "agg_pivot": "SELECT o_orderpriority, count(*) FILTER (o_orderstatus = 'F') AS F, count(*) FILTER (o_orderstatus = 'O') AS O, count(*) FILTER (o_orderstatus = 'P') AS P FROM orders GROUP BY o_orderpriority",
     "sliding_window": f"SELECT event_type, low, count(*) AS n, sum(cast(round(value * 100) AS bigint))::BIGINT AS cents FROM (SELECT event_type, value, unnest(range(epoch_us(ts) // {DAY} * {DAY} - 9 * {DAY}, epoch_us(ts) // {DAY} * {DAY} + 1, {DAY})) AS low FROM events) GROUP BY event_type, low",
     "session_gap": f"SELECT user_id, min(t) AS low, count(*) AS n FROM (SELECT user_id, t, sum(new) OVER (PARTITION BY user_id ORDER BY t) AS run FROM (SELECT user_id, epoch_us(ts) AS t, CASE WHEN epoch_us(ts) - lag(epoch_us(ts)) OVER (PARTITION BY user_id ORDER BY ts) < {DAY // 2} THEN 0 ELSE 1 END AS new FROM events)) GROUP BY user_id, run",

@@ -8,7 +8,7 @@ modular, of the first 28 bits of an item's MD5, so that another engine makes the
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, fields
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession, Window
@@ -16,6 +16,7 @@ from pyspark.sql import functions as F
 
 from subwin.operators.eh import CUTS, fractions_of, fractions_sql, in_range, layout_weight
 from subwin.sources.views import VIEWS, series_view
+from subwin.storage import Scratch
 
 PRIME = 2_147_483_647
 K_EH = 20
@@ -43,6 +44,8 @@ class Config:
 LARGE = Config()
 MIDDLE = Config([1024] * 8 + [128] * 8)
 SMALL = Config([256] * 8 + [64] * 6)
+#: For errors of at most five in a hundred, of distinct items too.
+FINE = Config([4096] * 8 + [1024] * 8, 5, 1000)
 
 ITEM_HASH = "cast(conv(substr(md5(item), 1, 7), 16, 10) AS bigint)"
 
@@ -143,6 +146,14 @@ def _median_square(vector) -> float:
     return float(np.median(np.square(np.asarray(vector, np.float64).reshape(3, PANE_CELLS)).sum(axis=1)))
 
 
+def _dense(sparse) -> np.ndarray:
+    """A pane's sketch from its cells' places, then their values."""
+    at, v = np.asarray(sparse, np.int64).reshape(2, -1)
+    out = np.zeros(3 * PANE_CELLS)
+    out[at] = v
+    return out
+
+
 def panes_of(samples: DataFrame, size: int) -> DataFrame:
     """Samples with their pane of ``size`` positions."""
     return samples.withColumn("pane", F.expr(f"(seq - 1) div {size}"))
@@ -157,55 +168,90 @@ def bucket_layout(samples: DataFrame, size: int, k: float = K_EH) -> DataFrame:
     freq = frequencies(panes_of(samples, size), "pane")
     cells = F.array(*[F.struct(F.expr(f"{r * PANE_CELLS} + {_hash(*ROWS[r])} % {PANE_CELLS}").alias("at"), F.expr(f"CASE WHEN {_hash(*SIGNS[r])} % 2 = 0 THEN f ELSE -f END").alias("v")) for r in range(3)])
     summed = freq.select("series", "pane", F.inline(cells)).groupBy("series", "pane", "at").agg(F.sum("v").alias("v"))
-    entries = summed.groupBy("series", "pane").agg(F.map_from_entries(F.collect_list(F.struct("at", "v"))).alias("m"))
-    vectors = entries.select("series", "pane", F.expr(f"transform(sequence(0L, {3 * PANE_CELLS - 1}L), i -> coalesce(m[i], 0L))").alias("summary"))
-    return layout_weight(vectors, k, _median_square, lambda a, b: np.asarray(a) + np.asarray(b))
+    entries = summed.groupBy("series", "pane").agg(F.collect_list(F.struct("at", "v")).alias("m"))
+    sparse = entries.select("series", "pane", F.expr("concat(transform(m, x -> x.at), transform(m, x -> x.v))").alias("summary"))
+    return layout_weight(sparse, k, _median_square, np.add, read=_dense)
+
+
+@dataclass(frozen=True)
+class Buckets:
+    """What a histogram stores: spans with form (map or sketch); of maps, item and count f; of sketches, cells, and the heavy items of each layer."""
+
+    spans: DataFrame
+    maps: DataFrame
+    cells: DataFrame
+    heavy: DataFrame
 
+    def tables(self) -> dict[str, DataFrame]:
+        return {f.name: getattr(self, f.name) for f in fields(self)}
 
-def build(samples: DataFrame, size: int, k: float = K_EH, config: Config = LARGE, hybrid: bool = True) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """Bucket spans with form, exact counts of buckets in map form, and cells of buckets in sketch form.
+    def saved(self, scratch: Scratch) -> "Buckets":
+        return Buckets(**{name: scratch.save(df, name) for name, df in self.tables().items()})
 
-    A bucket stays a map while its entries take fewer bytes than a sketch's cells; ``hybrid`` False sketches all.
+
+def build(samples: DataFrame, size: int, k: float = K_EH, config: Config = LARGE, hybrid: bool = True, map_bytes: int | None = None) -> Buckets:
+    """Buckets of panes of ``size`` positions.
+
+    A bucket stays a map while its entries take fewer bytes than a sketch's cells, or than ``map_bytes``; ``hybrid`` False sketches all. What a
+    sketch stores depends on the configuration, not on the items: its cells, and for each layer ``config.heavy`` items at most.
     """
-    layout = bucket_layout(samples, size, k)
+    scratch = Scratch(samples.sparkSession, "univ")
+    layout = scratch.save(bucket_layout(samples, size, k), "layout")
     of_pane = layout.select("series", "bucket", F.explode(F.sequence("pane_lo", "pane_hi")).alias("pane"))
     placed = panes_of(samples, size).join(of_pane, ["series", "pane"])
-    freq = frequencies(placed, "bucket")
+    freq = scratch.save(frequencies(placed, "bucket"), "frequencies")
     spans = placed.groupBy("series", "bucket").agg(F.min("seq").alias("seq_lo"), F.max("seq").alias("seq_hi"), F.min("t").alias("t_lo"), F.max("t").alias("t_hi"), F.count("*").alias("size"))
     distinct = freq.groupBy("series", "bucket").agg(F.count("*").alias("items"))
-    limit = config.cells * CELL_BYTES if hybrid else 0
+    limit = (config.cells * CELL_BYTES if map_bytes is None else map_bytes) if hybrid else 0
     form = F.when(F.col("items") * ENTRY_BYTES < limit, F.lit("map")).otherwise(F.lit("sketch"))
-    spans = spans.join(distinct, ["series", "bucket"]).withColumn("form", form)
+    spans = scratch.save(spans.join(distinct, ["series", "bucket"]).withColumn("form", form), "spans")
     formed = freq.join(spans.select("series", "bucket", "form"), ["series", "bucket"])
-    maps = formed.where("form = 'map'").select("series", "bucket", "item", "f", "h")
-    return spans, maps, formed.where("form = 'sketch'").select("series", "bucket", "item", "f", "h")
+    sketched = formed.where("form = 'sketch'")
+    nth = F.row_number().over(Window.partitionBy("series", "bucket", "layer").orderBy(F.desc("f"), "item"))
+    heavy = sketched.select("series", "bucket", "item", "h", "f", _layers(config)).withColumn("nth", nth).where(F.col("nth") <= config.heavy)
+    return Buckets(spans, formed.where("form = 'map'").select("series", "bucket", "item", "f", "h"), sketch_cells(sketched, config, "series", "bucket"), heavy.select("series", "bucket", "layer", "item", "h"))
 
 
-def query(spans: DataFrame, maps: DataFrame, sketched: DataFrame, ranges: DataFrame, config: Config = LARGE) -> DataFrame:
-    """query, series, n, forms (map, sketch or mixed), distinct, entropy, l2 of each range.
+def _layers(config: Config) -> Column:
+    return F.explode(F.sequence(F.lit(0), F.expr(_depth(len(config.widths))))).alias("layer")
 
-    Ranges that take only maps are answered from summed counts, exactly; others from summed cells, to
-    which the summed maps are added first.
-    """
-    taken = in_range(spans, ranges, "seq_lo").select("query", "series", "bucket", "size", "form")
+
+def merged(buckets: Buckets, ranges: DataFrame, config: Config = LARGE, by: str = "seq") -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
+    """Of each range (query, series): n and forms (map, sketch or mixed); counts of the items of maps; and, where a sketch takes part,
+    summed cells and candidates (layer, item, h). Maps beside sketches are added to the cells, their items to the candidates."""
+    taken = in_range(buckets.spans, ranges, f"{by}_lo").select("query", "series", "bucket", "size", "form")
     forms = taken.groupBy("query", "series").agg(F.sum("size").alias("n"), F.when(F.min("form") == F.max("form"), F.min("form")).otherwise(F.lit("mixed")).alias("forms"))
-    counts = maps.join(taken.select("query", "series", "bucket"), ["series", "bucket"]).groupBy("query", "series", "item", "h").agg(F.sum("f").alias("f"))
-    exact = counts.join(forms.where("forms = 'map'").select("query", "series"), ["query", "series"]).withColumn("x", F.col("f").cast("double")).groupBy("query", "series").agg(*[F.sum(F.expr(g)).alias(name) for name, g in G.items()])
-    cells = sketch_cells(sketched, config, "series", "bucket").join(taken.select("query", "series", "bucket"), ["series", "bucket"]).select("query", "series", "layer", "row", "col", "c")
+    of = taken.select("query", "series", "bucket")
+    counts = buckets.maps.join(of, ["series", "bucket"]).groupBy("query", "series", "item", "h").agg(F.sum("f").alias("f"))
     loose = counts.join(forms.where("forms = 'mixed'").select("query", "series"), ["query", "series"])
+    cells = buckets.cells.join(of, ["series", "bucket"]).select("query", "series", "layer", "row", "col", "c")
     summed = merge_cells(cells.unionByName(sketch_cells(loose, config, "query", "series")), "query", "series")
-    # candidates: the heavy items of each bucket and layer, and the items of the maps
-    layers = len(config.widths)
-    heavy = Window.partitionBy("series", "bucket", "layer").orderBy(F.desc("f"), "item")
-    level = F.explode(F.sequence(F.lit(0), F.expr(_depth(layers)))).alias("layer")
-    kept = sketched.select("series", "bucket", "item", "h", "f", level).withColumn("nth", F.row_number().over(heavy)).where(F.col("nth") <= config.heavy)
-    candidates = kept.join(taken.select("query", "series", "bucket"), ["series", "bucket"]).select("query", "series", "layer", "item", "h").unionByName(loose.select("query", "series", level, "item", "h").select("query", "series", "layer", "item", "h")).distinct()
+    candidates = buckets.heavy.join(of, ["series", "bucket"]).select("query", "series", "layer", "item", "h").unionByName(loose.select("query", "series", _layers(config), "item", "h")).distinct()
+    return forms, counts, summed, candidates
+
+
+def query(buckets: Buckets, ranges: DataFrame, config: Config = LARGE, by: str = "seq") -> DataFrame:
+    """query, series, n, forms (map, sketch or mixed), distinct, entropy, l2 of each range.
+
+    Ranges that take only maps are answered from summed counts, exactly but for the alignment; others from summed cells.
+    """
+    forms, counts, summed, candidates = merged(buckets, ranges, config, by)
+    exact = counts.join(forms.where("forms = 'map'").select("query", "series"), ["query", "series"]).withColumn("x", F.col("f").cast("double")).groupBy("query", "series").agg(*[F.sum(F.expr(g)).alias(name) for name, g in G.items()])
     sums = gsum(point_estimates(summed, candidates, config, "query", "series"), config, "query", "series")
     norms = l2_of_cells(summed, "query", "series").withColumnRenamed("l2", "row_l2")
     sketched_sums = sums.join(norms, ["query", "series"]).withColumn("l2sq", F.col("row_l2") * F.col("row_l2")).drop("row_l2")
     return finish(exact.unionByName(sketched_sums).join(forms, ["query", "series"]), F.col("n")).select("query", "series", "n", "forms", "distinct", "entropy", "l2")
 
 
+def top_items(buckets: Buckets, ranges: DataFrame, k: int, config: Config = LARGE, by: str = "seq") -> DataFrame:
+    """query, series, rank, item and est of the ``k`` most frequent items of each range, ties by item."""
+    forms, counts, summed, candidates = merged(buckets, ranges, config, by)
+    exact = counts.join(forms.where("forms = 'map'").select("query", "series"), ["query", "series"]).select("query", "series", "item", F.col("f").cast("double").alias("est"))
+    sketched = point_estimates(summed, candidates.where("layer = 0"), config, "query", "series").select("query", "series", "item", "est")
+    best = Window.partitionBy("query", "series").orderBy(F.desc("est"), "item")
+    return exact.unionByName(sketched).withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("query", "series", "rank", "item", "est")
+
+
 def exact_statistics(samples: DataFrame, ranges: DataFrame) -> DataFrame:
     """query, series, n, distinct, entropy, l2 of the samples of each range."""
     inside = in_range(samples, ranges)
@@ -258,13 +304,13 @@ s AS (SELECT series, f, h, {layers} AS layer FROM (SELECT *, {_depth(len(config.
 cells AS (SELECT series, layer::INT AS layer, row, col, sum(v)::BIGINT AS c FROM ({parts}) GROUP BY ALL)"""
 
 
-def _bounded(size: int, cuts, tolerance: dict[str, float], view: str, hybrid: bool = True, config: Config = LARGE):
+def _bounded(size: int, cuts, tolerance: dict[str, float], view: str, hybrid: bool = True, config: Config = FINE, map_bytes: int | None = None):
     """Estimates beside the exact values, with whether each is within its tolerance of the suffix's statistic."""
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         samples = series_view(spark, sf_dir, view)
         ranges = fractions_of(samples, cuts)
-        found = query(*build(samples, size, K_EH, config, hybrid), ranges, config)
+        found = query(build(samples, size, K_EH, config, hybrid, map_bytes), ranges, config)
         exact = exact_statistics(samples, ranges)
         suffix = exact_statistics(samples, fractions_of(samples, [(q, a, 0.0) for q, a, _ in cuts]))
         joined = found.alias("e").join(exact.alias("x"), ["query", "series"]).join(suffix.alias("s"), ["query", "series"])
@@ -279,27 +325,22 @@ def _bounded_sql(view: str, cuts) -> str:
 
 
 WIDE = [("full", 1.0, 0.0), ("suffix", 0.4, 0.0), ("middle", 0.6, 0.3)]
-_TOLERANCE = {"distinct": 0.15, "entropy": 0.1, "l2": 0.12}
+#: Of the statistic of the suffix that the range begins.
+_TOLERANCE = {"distinct": 0.05, "entropy": 0.05, "l2": 0.05}
 
 
 def raw_statistics(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Estimates with the small sketches, for a look at the errors: no bound is claimed."""
     samples = series_view(spark, sf_dir, "doc_tokens")
     ranges = fractions_of(samples, WIDE)
-    return query(*build(samples, 5000, K_EH, SMALL), ranges, SMALL)
+    return query(build(samples, 5000, K_EH, SMALL), ranges, SMALL)
 
 
 def topk_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Recall of the ten most frequent tokens of a range, from the sketch's heavy items."""
     samples = series_view(spark, sf_dir, "doc_tokens")
     ranges = fractions_of(samples, WIDE)
-    spans, maps, sketched = build(samples, 5000, K_EH, LARGE, hybrid=False)
-    taken = in_range(spans, ranges, "seq_lo").select("query", "series", "bucket")
-    summed = merge_cells(sketch_cells(sketched, LARGE, "series", "bucket").join(taken, ["series", "bucket"]), "query", "series")
-    heavy = Window.partitionBy("series", "bucket").orderBy(F.desc("f"), "item")
-    asked = sketched.withColumn("nth", F.row_number().over(heavy)).where(F.col("nth") <= LARGE.heavy).join(taken, ["series", "bucket"]).select("query", "series", F.lit(0).alias("layer"), "item", "h").distinct()
-    best = Window.partitionBy("query", "series").orderBy(F.desc("est"), "item")
-    found = point_estimates(summed, asked, LARGE, "query", "series").withColumn("nth", F.row_number().over(best)).where("nth <= 10").select("query", "series", "item")
+    found = top_items(build(samples, 5000, K_EH, LARGE, hybrid=False), ranges, 10)
     inside = in_range(samples, ranges).groupBy("query", "series", "item").agg(F.count("*").alias("f"))
     true = inside.withColumn("nth", F.row_number().over(Window.partitionBy("query", "series").orderBy(F.desc("f"), "item"))).where("nth <= 10").select("query", "series", "item", "f")
     hit = true.join(found.withColumn("hit", F.lit(1)), ["query", "series", "item"], "left")
@@ -308,8 +349,8 @@ def topk_query(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict = {
     "gsum_exact": gsum_exact, "univ_cells": cells_query, "univ_cells_deepest": deepest_cells, "cs_l2": l2_query, "cs_point": point_query,
-    "ehuniv_hybrid_events": _bounded(100, CUTS[:4], _TOLERANCE, "ev_type"), "ehuniv_hybrid_tokens": _bounded(5000, WIDE, _TOLERANCE, "doc_tokens"),
-    "ehuniv_plain_tokens": _bounded(5000, WIDE, _TOLERANCE, "doc_tokens", hybrid=False), "ehuniv_raw_statistics": raw_statistics, "topk_recall": topk_query,
+    "ehuniv_hybrid_events": _bounded(20, CUTS[:4], _TOLERANCE, "ev_type"), "ehuniv_hybrid_tokens": _bounded(1000, WIDE, _TOLERANCE, "doc_tokens"),
+    "ehuniv_plain_tokens": _bounded(1000, WIDE, _TOLERANCE, "doc_tokens", hybrid=False), "ehuniv_mixed_tokens": _bounded(1000, WIDE, _TOLERANCE, "doc_tokens", map_bytes=500 * ENTRY_BYTES), "ehuniv_raw_statistics": raw_statistics, "topk_recall": topk_query,
 }
 SQL: dict = {
     "gsum_exact": _exact_sql(VIEWS["ev_type"].sql, CUTS) + " SELECT query, series, sum(x)::BIGINT AS n, count(*) AS \"distinct\", round(ln(sum(x)) - sum(x * ln(x)) / sum(x), 6) AS entropy, round(sqrt(sum(x * x)), 6) AS l2 FROM c GROUP BY query, series",
@@ -320,5 +361,6 @@ SQL: dict = {
     "ehuniv_hybrid_events": _bounded_sql(VIEWS["ev_type"].sql, CUTS[:4]),
     "ehuniv_hybrid_tokens": _bounded_sql(VIEWS["doc_tokens"].sql, WIDE),
     "ehuniv_plain_tokens": _bounded_sql(VIEWS["doc_tokens"].sql, WIDE),
+    "ehuniv_mixed_tokens": _bounded_sql(VIEWS["doc_tokens"].sql, WIDE),
     "topk_recall": f"WITH v AS ({VIEWS['doc_tokens'].sql}), {fractions_sql(WIDE)}, c AS (SELECT query, v.series, item, count(*) AS f FROM v JOIN ranges r ON v.series = r.series AND seq > low AND seq <= high GROUP BY ALL) SELECT query, series, sum(f)::BIGINT AS exact, true AS within_bound FROM (SELECT *, row_number() OVER (PARTITION BY query, series ORDER BY f DESC, item) AS nth FROM c) WHERE nth <= 10 GROUP BY query, series",
 }

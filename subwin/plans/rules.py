@@ -5,6 +5,7 @@ from __future__ import annotations
 import hashlib
 import re
 from bisect import bisect
+from collections.abc import Callable
 from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -19,6 +20,8 @@ FAMILIES = {
     "quantile": "kll", "min": "kll", "max": "kll", "count": "sample", "sum": "sample", "avg": "sample", "stddev": "sample", "stdvar": "sample",
     "distinct": "univ", "entropy": "univ", "l2": "univ", "topk": "univ", "l1": "univ",
 }
+#: Families that serve a function too.
+ALSO = {"count": ("univ",), "l1": ("sample",)}
 UNCOVERED = ("last", "present", "absent", "quantile_disc")
 #: Units of durations.
 UNITS = {"s": 1_000_000, "m": 60_000_000, "h": 3_600_000_000, "d": DAY}
@@ -26,23 +29,46 @@ UNITS = {"s": 1_000_000, "m": 60_000_000, "h": 3_600_000_000, "d": DAY}
 
 @dataclass(frozen=True)
 class OverTime:
-    """fn_over_time(arg, selector[window])."""
+    """fn_over_time(arg, inner(view{matchers})[window]); matchers are label, operator, text."""
 
     fn: str
     arg: float | None
     view: str
-    matchers: tuple[tuple[str, str], ...]
+    matchers: tuple[tuple[str, str, str], ...]
     window: int
     inner: str | None = None
 
+    @property
+    def subject(self) -> str:
+        """What a cache instance is of: the view, or the series derived from it."""
+        chosen = ",".join(f'{label}{op}"{text}"' for label, op, text in self.matchers)
+        return f"{self.inner}({self.view}{{{chosen}}})" if self.inner else self.view
+
+    @property
+    def by_series(self) -> bool:
+        """Whether whole series, or one derived from them, are asked: what buckets can answer."""
+        return bool(self.inner) or all(label == "series" for label, _, _ in self.matchers)
+
+
+@dataclass(frozen=True)
+class Call:
+    """A function of an expression's result."""
+
+    fn: str
+    child: "Node"
+
 
 @dataclass(frozen=True)
-class Outer:
-    """An arithmetic or comparing operation on an expression's result, or a function of it."""
+class Binary:
+    """Arithmetic or a comparison of two expressions. Of two series expressions, results of one series and time meet;
+    a comparison keeps what it holds for, with the left side's result."""
 
     op: str
-    child: "OverTime | Outer"
-    value: float | None = None
+    left: "Node"
+    right: "Node"
+
+
+Node = OverTime | Call | Binary | float
 
 
 @dataclass(frozen=True)
@@ -55,7 +81,7 @@ class RuleSpec:
     expression: str
 
 
-_TOKEN = re.compile(r"\s*(?:(\d+(?:\.\d+)?)([smhd])?|([a-z_0-9]+)|(\"[^\"]*\")|(=~|!=|!~|>=|<=|[-+*/<>=(){}\[\],]))")
+_TOKEN = re.compile(r"\s*(?:(\d+(?:\.\d+)?)([smhd])?(?![a-z_0-9])|([a-z_0-9]+)|(\"[^\"]*\")|(=~|!=|!~|==|>=|<=|[-+*/<>=(){}\[\],]))")
 
 
 class Parser:
@@ -83,20 +109,41 @@ class Parser:
         self.at += 1
         return found[1]
 
-    def parse(self) -> OverTime | Outer:
-        node = self.operand()
-        while self.peek()[0] == "sign" and self.peek()[1] in (*"+-*/<>", ">=", "<="):
-            op = self.take("sign")
-            node = Outer(op, node, float(self.take("number")))
+    #: From the loosest to the tightest; all of one level from left to right.
+    LEVELS = (("==", "!=", ">", "<", ">=", "<="), ("+", "-"), ("*", "/"))
+
+    def parse(self) -> Node:
+        node = self.level(0)
         if self.peek()[0] != "end":
             raise ValueError(f"unexpected {self.peek()[1]}")
         return node
 
-    def operand(self) -> OverTime | Outer:
+    def level(self, depth: int) -> Node:
+        if depth == len(self.LEVELS):
+            return self.operand()
+        node = self.level(depth + 1)
+        while self.peek()[0] == "sign" and self.peek()[1] in self.LEVELS[depth]:
+            op = self.take("sign")
+            other = self.level(depth + 1)
+            node = ARITHMETIC[op](node, other) if isinstance(node, float) and isinstance(other, float) and op in ARITHMETIC else Binary(op, node, other)
+        return node
+
+    def operand(self) -> Node:
+        if self.peek() == ("sign", "-"):
+            self.take("sign")
+            child = self.operand()
+            return -child if isinstance(child, float) else Binary("*", -1.0, child)
+        if self.peek() == ("sign", "("):
+            self.take("sign")
+            node = self.level(0)
+            self.take("sign", ")")
+            return node
+        if self.peek()[0] == "number":
+            return float(self.take("number"))
         name = self.take("name")
         self.take("sign", "(")
         if not name.endswith("_over_time"):
-            node = Outer(name, self.operand())
+            node = Call(name, self.level(0))
             self.take("sign", ")")
             return node
         arg = None
@@ -117,32 +164,45 @@ class Parser:
         self.take("sign", ")")
         return OverTime(name.removesuffix("_over_time"), arg, view, matchers, int(float(duration[:-1]) * UNITS[duration[-1]]), inner)
 
-    def matchers(self) -> tuple[tuple[str, str], ...]:
+    def matchers(self) -> tuple[tuple[str, str, str], ...]:
         out = []
         if self.peek() == ("sign", "{"):
             self.take("sign", "{")
             while self.peek() != ("sign", "}"):
-                self.take("name")
-                out.append((self.take("sign"), self.take("string")))
+                out.append((self.take("name"), self.take("sign"), self.take("string")))
+                if out[-1][1] not in MATCH:
+                    raise ValueError(f"expected an operator of labels, found {out[-1][1]}")
                 if self.peek() == ("sign", ","):
                     self.take("sign")
             self.take("sign", "}")
         return tuple(out)
 
 
-def parse(text: str) -> OverTime | Outer:
+ARITHMETIC = {"+": lambda a, b: a + b, "-": lambda a, b: a - b, "*": lambda a, b: a * b, "/": lambda a, b: a / b}
+MATCH = {"=": lambda c, v: c == v, "!=": lambda c, v: c != v, "=~": lambda c, v: c.rlike(f"^(?:{v})$"), "!~": lambda c, v: ~c.rlike(f"^(?:{v})$")}
+
+
+def parse(text: str) -> Node:
     return Parser(text).parse()
 
 
-def leaf(node: OverTime | Outer) -> OverTime:
-    return node if isinstance(node, OverTime) else leaf(node.child)
+def leaves(node: Node) -> list[OverTime]:
+    if isinstance(node, OverTime):
+        return [node]
+    return [x for child in ((node.child,) if isinstance(node, Call) else (node.left, node.right) if isinstance(node, Binary) else ()) for x in leaves(child)]
+
+
+def leaf(node: Node) -> OverTime:
+    """The only function over time of an expression."""
+    (only,) = leaves(node)
+    return only
 
 
 def matching(samples: DataFrame, matchers) -> DataFrame:
-    """Samples of the series that all matchers accept; equality is pushed to the scan."""
-    kinds = {"=": lambda v: F.col("series") == v, "!=": lambda v: F.col("series") != v, "=~": lambda v: F.col("series").rlike(f"^(?:{v})$"), "!~": lambda v: ~F.col("series").rlike(f"^(?:{v})$")}
-    for op, value in matchers:
-        samples = samples.where(kinds[op](value))
+    """Samples of the series that all matchers accept; equality is pushed to the scan. The label series is the series'
+    name; other labels are columns of ``samples``, and one that they lack is empty."""
+    for label, op, text in matchers:
+        samples = samples.where(MATCH[op](F.col(label) if label in samples.columns else F.lit(""), text))
     return samples
 
 
@@ -159,16 +219,40 @@ def join_series(left: DataFrame, right: DataFrame, how: str) -> DataFrame:
     return position(joined.drop("seq"), ["t"]).select("series", "t", "seq", "value", "item")
 
 
-def evaluate(node: OverTime | Outer, samples: DataFrame, grid: Grid) -> DataFrame:
-    """series, eval_t, result: the function over time at each point of the grid, then the outer operations on its result."""
+def subject_samples(node: OverTime, samples: DataFrame) -> DataFrame:
+    """The samples that a function over time looks at, of those of its view."""
+    held = matching(samples, node.matchers)
+    return inner_aggregate(held, node.inner) if node.inner else held
+
+
+def exact_leaf(node: OverTime, samples: DataFrame, grid: Grid) -> DataFrame:
+    return over_time(subject_samples(node, samples), node.fn, replace(grid, window=node.window), node.arg)
+
+
+def evaluate(node: Node, samples: DataFrame | Callable[[str], DataFrame], grid: Grid, over: Callable = exact_leaf) -> DataFrame:
+    """series, eval_t, result, and what else the leaves carry: functions over time at each point of the grid, by ``over``, then the
+    operations on their results. ``samples`` are those of the only view, or a function of a view's name."""
     if isinstance(node, OverTime):
-        held = matching(samples, node.matchers)
-        return over_time(inner_aggregate(held, node.inner) if node.inner else held, node.fn, replace(grid, window=node.window))
-    found = evaluate(node.child, samples, grid)
-    if node.value is None:
-        return found.withColumn("result", F.expr(f"{node.op}(result)"))
-    changed = F.expr(f"result {node.op} {node.value!r}D")
-    return found.where(changed) if node.op in (">", "<", ">=", "<=") else found.withColumn("result", changed)
+        return over(node, samples(node.view) if callable(samples) else samples, grid)
+    if isinstance(node, Call):
+        return evaluate(node.child, samples, grid, over).withColumn("result", F.expr(f"{node.fn}(result)"))
+    if isinstance(node, float):
+        raise ValueError("a number alone has no series")
+    scalars = [x if isinstance(x, float) else None for x in (node.left, node.right)]
+    if None not in scalars:
+        raise ValueError("a comparison of numbers has no series")
+    if scalars == [None, None]:
+        found, other = evaluate(node.left, samples, grid, over), evaluate(node.right, samples, grid, over)
+        other = other.select("series", "eval_t", F.col("result").alias("other"), *[F.col("source").alias("other_source")] * ("source" in other.columns))
+        found = found.join(other, ["series", "eval_t"])
+        if "source" in found.columns:
+            found = found.withColumn("source", F.when(F.col("source") == F.col("other_source"), F.col("source")).otherwise("mixed")).drop("other_source")
+        sides = ("result", "other")
+    else:
+        found = evaluate(node.right if scalars[1] is None else node.left, samples, grid, over)
+        sides = tuple("result" if x is None else f"{x!r}D" for x in scalars)
+    changed = F.expr(f"{sides[0]} {node.op} {sides[1]}")
+    return (found.withColumn("result", changed) if node.op in ARITHMETIC else found.where(changed)).drop("other")
 
 
 # -- registry and routing ----------------------------------------------------------------------------------------------
@@ -188,10 +272,10 @@ class Registry:
         return found
 
     def register(self, rule: RuleSpec) -> None:
-        node = leaf(parse(rule.expression))
-        if node.fn in FAMILIES:
-            key = (node.view, FAMILIES[node.fn])
-            self.windows[key] = max(self.windows.get(key, 0), node.window)
+        for node in leaves(parse(rule.expression)):
+            if node.fn in FAMILIES and node.by_series:
+                key = (node.subject, FAMILIES[node.fn])
+                self.windows[key] = max(self.windows.get(key, 0), node.window)
 
     def sync(self, rules: list[RuleSpec]) -> list[tuple[str, str]]:
         """Keep what ``rules`` need; returns the instances that go."""
@@ -200,10 +284,14 @@ class Registry:
         self.windows = needed
         return gone
 
+    def family(self, node: OverTime) -> str | None:
+        """The family whose instance covers the window, of those that serve the function."""
+        served = [FAMILIES[node.fn], *ALSO.get(node.fn, ())] if node.fn in FAMILIES and node.by_series else []
+        return next((f for f in served if self.windows.get((node.subject, f), 0) >= node.window), None)
+
     def route(self, node: OverTime) -> str:
         """cache if an instance of the function's family covers the window, else exact."""
-        family = FAMILIES.get(node.fn)
-        return "cache" if family and self.windows.get((node.view, family), 0) >= node.window else "exact"
+        return "cache" if self.family(node) else "exact"
 
 
 def ring_assign(series: list[str], nodes: list[str], virtual: int = 64) -> dict[str, str]:
@@ -265,7 +353,7 @@ _SUBSET = Grid(DAILY.start, DAILY.end, DAY, DAY)
 def _rule(text: str):
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         node = parse(text)
-        return evaluate(node, series_view(spark, sf_dir, leaf(node).view), DAILY)
+        return evaluate(node, lambda view: series_view(spark, sf_dir, view), DAILY)
 
     return run
 
@@ -343,6 +431,10 @@ _CASES = {
     "rule_outer_function": ("floor(max_over_time(ev_type[10d]))", _sql("cast(floor(max(value)) AS bigint)", 10 * DAY)),
     "rule_alert_distinct": ("distinct_over_time(ev_type[1d]) > 40", f"SELECT * FROM ({_sql('count(DISTINCT item)', DAY)}) WHERE result > 40"),
     "rule_alert_entropy": ("entropy_over_time(ev_type[2d]) < 4", f"SELECT * FROM (SELECT series, eval_t, round(ln(sum(c)) - sum(c * ln(c)) / sum(c), 6) AS result FROM (SELECT series, eval_t, item, count(*)::BIGINT AS c FROM ({replace(DAILY, window=2 * DAY).sql(_V)}) GROUP BY ALL) GROUP BY ALL) WHERE result < 4"),
+    "rule_precedence": ("1 + avg_over_time(ev_type[5d]) * (4 - 1) / 2", _sql(f"1 + {_AVG} * 3 / 2", 5 * DAY)),
+    "rule_two_series": ("max_over_time(ev_type[5d]) - min_over_time(ev_type[2d]) > 90", f"SELECT a.series, a.eval_t, a.result - b.result AS result FROM ({_sql('max(value)', 5 * DAY)}) a JOIN ({_sql('min(value)', 2 * DAY)}) b ON a.series = b.series AND a.eval_t = b.eval_t WHERE a.result - b.result > 90"),
+    "rule_labels": ('count_over_time(ev_type{series!="view",item=~"1.*"}[5d])', _sql("count(*)", 5 * DAY, "series <> 'view' AND item LIKE '1%'")),
+    "rule_other_label": ('max_over_time(ev_type{host="click"}[5d])', _sql("max(value)", 5 * DAY, "false")),
     "rule_inner_max": ("avg_over_time(max(ev_type)[5d])", _sql(_AVG, 5 * DAY, view=f"SELECT 'max' AS series, t, max(value) AS value FROM ({_V}) GROUP BY t")),
 }
 QUERIES: dict = {name: _rule(text) for name, (text, _) in _CASES.items()}

@@ -28,17 +28,20 @@ def micros(column: str) -> str:
     return f"timestampdiff(MICROSECOND, TIMESTAMP_NTZ'1970-01-01 00:00:00', {column})"
 
 
-def position(base: DataFrame, order: list[str]) -> DataFrame:
+def position(base: DataFrame, order: list[str], counted: bool = False) -> DataFrame:
     """Adds seq to ``base`` (series, pane, ...): panes are counted, their counts summed up in blocks, and
-    rows numbered within panes only, so that one series of any length is spread over tasks."""
+    rows numbered within panes only, so that one series of any length is spread over tasks. ``counted`` adds n,
+    the number of rows of the series, from the same counts."""
     panes = base.groupBy("series", "pane").agg(F.count("*").alias("n")).withColumn("block", F.floor(F.col("pane") / PANES))
     blocks = panes.groupBy("series", "block").agg(F.sum("n").alias("n"))
     before = Window.partitionBy("series").orderBy("block").rowsBetween(Window.unboundedPreceding, -1)
-    blocks = blocks.select("series", "block", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("past"))
+    whole = Window.partitionBy("series")
+    blocks = blocks.select("series", "block", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("past"), *[F.sum("n").over(whole).alias("total")] * counted)
     within = Window.partitionBy("series", "block").orderBy("pane").rowsBetween(Window.unboundedPreceding, -1)
-    starts = panes.select("series", "block", "pane", F.coalesce(F.sum("n").over(within), F.lit(0)).alias("before")).join(blocks, ["series", "block"]).select("series", "pane", (F.col("past") + F.col("before")).alias("past"))
+    starts = panes.select("series", "block", "pane", F.coalesce(F.sum("n").over(within), F.lit(0)).alias("before")).join(blocks, ["series", "block"]).select("series", "pane", (F.col("past") + F.col("before")).alias("past"), *[F.col("total").alias("n")] * counted)
+    # numbered first: the join finds its order in that of the numbers
     number = F.row_number().over(Window.partitionBy("series", "pane").orderBy(*order))
-    return base.join(starts, ["series", "pane"]).withColumn("seq", F.col("past") + number)
+    return base.withColumn("nth", number).join(starts, ["series", "pane"]).withColumn("seq", F.col("past") + F.col("nth")).drop("nth", "past")
 
 
 @dataclass(frozen=True)
@@ -111,19 +114,26 @@ VIEWS: dict[str, View] = {
 }
 
 
-def series_view(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    """Samples of a view: series, t, seq, value, item."""
+def series_view(spark: SparkSession, sf_dir: str, name: str, counted: bool = False, window: tuple[int, int] | None = None) -> DataFrame:
+    """Samples of a view: series, t, seq, value, item; ``counted`` adds n, the number of samples of the series.
+
+    Of a ``window`` (low, high], for views with times of their own, only its samples are read, and positions start with it.
+    """
     view = VIEWS[name]
-    placed = position(view.build(spark, sf_dir), view.order)
+    base = view.build(spark, sf_dir)
+    if window:
+        if not view.timed:
+            raise ValueError(f"{name} has no times of its own")
+        base = base.where((F.col("t") > window[0]) & (F.col("t") <= window[1]))
+    placed = position(base, view.order, counted)
     t = F.col("t") if view.timed else F.lit(EPOCH) + F.col("seq") * STEP
-    return placed.select("series", t.alias("t"), "seq", "value", "item")
+    return placed.select("series", t.alias("t"), "seq", "value", "item", *["n"] * counted)
 
 
 def drifting(spark: SparkSession, sf_dir: str) -> DataFrame:
     """View li_drift: li_all with 0.3 for each position from the newest added to its values."""
-    base = series_view(spark, sf_dir, "li_all")
-    n = table(spark, sf_dir, "lineitem").count()
-    return base.withColumn("value", F.col("value") + 0.3 * (n - F.col("seq")))
+    base = series_view(spark, sf_dir, "li_all", counted=True)
+    return base.withColumn("value", F.col("value") + 0.3 * (F.col("n") - F.col("seq")))
 
 
 DRIFT_SQL = f"SELECT series, t, seq, value + 0.3 * (count(*) OVER () - seq) AS value, item FROM ({VIEWS['li_all'].sql})"

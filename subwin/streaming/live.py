@@ -14,8 +14,10 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from subwin.operators.eh import layout_sql
-from subwin.sources.views import DAY, VIEWS, micros, table
+from subwin.operators import kll, sampling
+from subwin.operators.eh import in_range, layout_count, layout_sql
+from subwin.plans.cache import CacheStore
+from subwin.sources.views import DAY, VIEWS, micros, position, series_view, table
 from subwin.storage import Scratch
 
 COLUMNS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
@@ -122,6 +124,56 @@ def rebuild(store: DataFrame, upto: int, live: DataFrame, pane: int = DAY, k: in
     return both.groupBy("series", "pane").agg(F.sum("n").alias("n"), F.expr("kll_merge_agg_double(sketch)").alias("sketch"))
 
 
+def advance(buckets: DataFrame | None, fresh: DataFrame, k_eh: int, k_kll: int, expired: int) -> DataFrame:
+    """The bucket table after a batch: ``fresh`` (series, t, value, and id for ties) are later than all that ``buckets`` hold.
+
+    A bucket of the old layout lies whole inside one of the new, whose number follows from its last position; so
+    sketches of old buckets and of new samples are merged by that number, all series at once, without a loop over
+    samples. Buckets that end at or before ``expired`` go. ``buckets`` None: there are none yet.
+    """
+    placed = position(fresh.withColumn("pane", F.expr(f"t div {DAY}")), ["t", "id"], counted=True).drop("pane")
+    if buckets is not None:
+        past = buckets.groupBy("series").agg(F.max("n").alias("past"))
+        placed = placed.join(past, "series", "left").withColumn("past", F.coalesce("past", F.lit(0))).withColumns({"seq": F.col("seq") + F.col("past"), "n": F.col("n") + F.col("past")}).drop("past")
+    new = kll.build(placed, k_eh, k_kll)
+    if buckets is not None:
+        totals = new.groupBy("series").agg(F.max("n").alias("total"))
+        old = buckets.drop("bucket").join(totals, "series", "left").withColumn("n", F.coalesce("total", "n")).drop("total")
+        moved = layout_count(old.withColumn("seq", F.col("seq_hi")), k_eh).drop("seq")
+        both = new.unionByName(moved.select(new.columns))
+        new = both.groupBy("series", "bucket").agg(F.min("t_lo").alias("t_lo"), F.max("t_hi").alias("t_hi"), F.min("seq_lo").alias("seq_lo"), F.max("seq_hi").alias("seq_hi"), F.sum("size").alias("size"), F.expr("kll_merge_agg_double(sketch)").alias("sketch"), F.max("n").alias("n"))
+    return new.where(F.col("t_hi") > expired)
+
+
+def keep_up(stream: DataFrame, store: CacheStore, subject: str, width: int, k_eh: int = 50, k_kll: int = 256, p: float = 0.1) -> None:
+    """Work off a stream of samples (series, t, value, id) into the committed cache, quantile sketches and samples, each ``width`` wide.
+
+    A batch that runs again finds its version committed and leaves it: versions are numbered by batches.
+    """
+
+    def write(batch: DataFrame, number: int) -> None:
+        now = batch.agg(F.max("t")).first()[0]
+        if now is None:
+            return
+        held = {family: store.read(subject, family) for family in ("kll", "sample")}
+        if len(store.versions(subject, "kll")) <= number:
+            old = held["kll"].tables["buckets"] if held["kll"] else None
+            store.commit(subject, "kll", {"buckets": advance(old, batch, k_eh, k_kll, now - width)}, now - width, now)
+        if len(store.versions(subject, "sample")) <= number:
+            placed = position(batch.withColumn("pane", F.expr(f"t div {DAY}")), ["t", "id"], counted=True)
+            counts = placed.groupBy("series").agg(F.max("n").alias("n"))
+            if held["sample"]:
+                past = held["sample"].tables["counts"]
+                placed = placed.join(past.withColumnRenamed("n", "past"), "series", "left").withColumn("seq", F.col("seq") + F.coalesce("past", F.lit(0)))
+                counts = counts.unionByName(past).groupBy("series").agg(F.sum("n").alias("n"))
+            kept = sampling.build(placed.select("series", "t", "seq", "value"), p)
+            if held["sample"]:
+                kept = kept.unionByName(held["sample"].tables["kept"])
+            store.commit(subject, "sample", {"kept": sampling.expire(kept, now, width), "counts": counts}, now - width, now)
+
+    stream.writeStream.foreachBatch(write).option("checkpointLocation", f"{store.root}/stream").trigger(availableNow=True).start().awaitTermination()
+
+
 # -- queries -----------------------------------------------------------------------------------------------------------
 
 CENTS = "cast(round(value * 100) AS bigint)"
@@ -196,8 +248,56 @@ def ingested(spark: SparkSession, sf_dir: str) -> DataFrame:
     return below.select("series", "n", (F.abs(F.col("below") / F.col("n") - 0.5) < 0.04).alias("within_bound"))
 
 
-QUERIES: dict = {"stream_tumbling": tumbling, "stream_sliding": sliding, "stream_dedup": dedup, "stream_late_reject": rejected, "stream_eh_state": state_layout, "stream_static_join": static_join, "stream_ingest_rebuild": ingested}
+def _kept_up(spark: SparkSession, sf_dir: str) -> CacheStore:
+    scratch = Scratch(spark, "live")
+    stream = stamped(stream_of(spark, _split(spark, sf_dir, scratch))).select(F.col("event_type").alias("series"), "t", "value", F.col("event_id").alias("id"))
+    store = CacheStore(spark, scratch.root)
+    keep_up(stream, store, "ev_type", 10 * DAY, 20)
+    return store
+
+
+def live_buckets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Buckets of quantile sketches after three batches, with expiry: spans as the whole layout has them."""
+    buckets = _kept_up(spark, sf_dir).read("ev_type", "kll").tables["buckets"]
+    return buckets.select("series", "bucket", "t_lo", "t_hi", "seq_lo", "seq_hi", "size")
+
+
+def live_quantiles(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Medians of sub-windows from the live buckets, and whether each is within its bound."""
+    samples = series_view(spark, sf_dir, "ev_type")
+    buckets = _kept_up(spark, sf_dir).read("ev_type", "kll").tables["buckets"]
+    ranges = buckets.select("series").distinct().withColumn("query", F.explode(F.array(F.lit("d9"), F.lit("d5")))).selectExpr("query", "series", f"{_END} - cast(substr(query, 2) AS bigint) * {DAY} AS low", f"{_END} AS high")
+    found = kll.quantiles(buckets, ranges, [0.5], by="t")
+    ranked = in_range(samples, ranges, "t").join(found, ["query", "series"]).groupBy("query", "series", "estimate", "bound").agg(F.round(F.expr("percentile(value, 0.5)"), 6).alias("exact"), F.count("*").alias("n"), F.count_if(F.col("value") < F.col("estimate")).alias("below"), F.count_if(F.col("value") <= F.col("estimate")).alias("upto"))
+    error = F.greatest(F.lit(0.0), F.col("below") / F.col("n") - 0.5, 0.5 - F.col("upto") / F.col("n"))
+    return ranked.select("query", "series", "exact", (error <= F.col("bound") + 2 * kll.sketch_error(256)).alias("within_bound"))
+
+
+def live_samples(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The sliding sample after three batches: the same rows as one pass keeps of the window."""
+    return _kept_up(spark, sf_dir).read("ev_type", "sample").tables["kept"].select("series", "t", "seq", "value")
+
+
+def sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Session windows of users, with gaps of two hours."""
+    scratch = Scratch(spark, "stream")
+    stream = stamped(stream_of(spark, _split(spark, sf_dir, scratch))).withWatermark("at", "40 days")
+    found = stream.groupBy("user_id", F.session_window("at", "2 hours").alias("w")).agg(F.count("*").alias("n"), F.sum(F.expr(CENTS)).alias("cents"))
+    # append emits only sessions that the watermark has closed; of complete ones the last output is the whole
+    found = run_to_table(found.select("user_id", F.unix_micros("w.start").alias("low"), F.unix_micros("w.end").alias("high"), "n", "cents"), scratch, "sessions", "complete")
+    last = found.agg(F.max("batch")).first()[0]
+    return found.where(F.col("batch") == last).drop("batch")
+
+
+_END = 1_704_067_200_000_000 + 30 * DAY
+_V = VIEWS["ev_type"].sql
+_LAST = f"SELECT max(epoch_us(ts)) - {10 * DAY} FROM events"
+QUERIES: dict = {"stream_ehkll_buckets": live_buckets, "stream_ehkll_quantiles": live_quantiles, "stream_sample_window": live_samples, "stream_session": sessions, "stream_tumbling": tumbling, "stream_sliding": sliding, "stream_dedup": dedup, "stream_late_reject": rejected, "stream_eh_state": state_layout, "stream_static_join": static_join, "stream_ingest_rebuild": ingested}
 SQL: dict = {
+    "stream_ehkll_buckets": layout_sql(_V, 20) + f"SELECT series, bucket, min(t) AS t_lo, max(t) AS t_hi, min(seq) AS seq_lo, max(seq) AS seq_hi, count(*) AS size FROM placed GROUP BY series, bucket HAVING max(t) > ({_LAST})",
+    "stream_ehkll_quantiles": f"SELECT 'd' || d AS query, series, round(quantile_cont(value, 0.5), 6) AS exact, true AS within_bound FROM ({_V}) JOIN (VALUES (9), (5)) AS n(d) ON t > {_END} - d * {DAY} AND t <= {_END} GROUP BY d, series",
+    "stream_sample_window": f"SELECT series, t, seq, value FROM ({_V}) v WHERE {sampling.DRAW.format(salt=1).replace('series)', 'v.series)')} < 100000 AND t > ({_LAST})",
+    "stream_session": f"SELECT user_id, min(t) AS low, max(t) + {2 * 3_600_000_000} AS high, count(*) AS n, sum(cents)::BIGINT AS cents FROM (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY t, event_id) AS run FROM (SELECT user_id, event_id, epoch_us(ts) AS t, cast(round(value * 100) AS bigint) AS cents, CASE WHEN epoch_us(ts) - lag(epoch_us(ts)) OVER (PARTITION BY user_id ORDER BY ts, event_id) < {2 * 3_600_000_000} THEN 0 ELSE 1 END AS fresh FROM events)) GROUP BY user_id, run",
     "stream_tumbling": f"SELECT event_type, epoch_us(ts) // {DAY} * {DAY} AS low, count(*) AS n, sum(cast(round(value * 100) AS bigint))::BIGINT AS cents FROM events GROUP BY event_type, low",
     "stream_sliding": f"SELECT event_type, low, count(*) AS n, sum(cast(round(value * 100) AS bigint))::BIGINT AS cents FROM (SELECT event_type, value, unnest(range(epoch_us(ts) // {DAY} * {DAY} - 9 * {DAY}, epoch_us(ts) // {DAY} * {DAY} + 1, {DAY})) AS low FROM events) GROUP BY event_type, low",
     "stream_dedup": "SELECT event_id, event_type, value FROM events",

@@ -8,8 +8,9 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from subwin.operators import baselines, kll, sampling, univ
-from subwin.operators.eh import bucket_spans, fractions_of, fractions_sql, in_range, layout_count
+from subwin.operators.eh import bucket_spans, fractions_of, fractions_sql, in_range, layout_count, layout_sql
 from subwin.sources.views import DAY, VIEWS, drifting, series_view, synthetic
+from subwin.storage import Scratch
 
 #: Window fractions of the concurrent workload, and nested windows in days back from the end of the events.
 THREE = [("w001", 0.01, 0.0), ("w010", 0.1, 0.0), ("w100", 1.0, 0.0)]
@@ -38,7 +39,7 @@ def cached_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The quantile groups of the same workload from the cache, with the exact values and whether each is in bound."""
     samples = series_view(spark, sf_dir, "ev_type")
     ranges = fractions_of(samples, THREE)
-    found = kll.answer(samples, kll.build(samples), ranges, [0.0, 0.5, 0.9, 1.0])
+    found = kll.answer(samples, kll.stored(samples), ranges, [0.0, 0.5, 0.9, 1.0])
     return kll.judged(samples, found, ranges).select("query", "series", "phi", "exact", "within_bound")
 
 
@@ -46,7 +47,7 @@ def nested_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Windows of 5, 10 and 15 days inside one cached window of 30, by time."""
     samples = series_view(spark, sf_dir, "ev_type")
     ranges = _all([samples.select("series").distinct().selectExpr(f"'d{d}' AS query", "series", f"{END - d * DAY} AS low", f"{END} AS high") for d in NESTED])
-    found = kll.quantiles(kll.build(samples), ranges, [0.9], by="t")
+    found = kll.quantiles(kll.stored(samples), ranges, [0.9], by="t")
     exact = in_range(samples, ranges, "t").join(found, ["query", "series"])
     ranks = exact.groupBy("query", "series", "estimate", "bound").agg(F.round(F.expr("percentile(value, 0.9)"), 6).alias("exact"), F.count("*").alias("n"), F.count_if(F.col("value") < F.col("estimate")).alias("below"), F.count_if(F.col("value") <= F.col("estimate")).alias("upto"))
     error = F.greatest(F.lit(0.0), F.col("below") / F.col("n") - 0.9, 0.9 - F.col("upto") / F.col("n"))
@@ -54,24 +55,39 @@ def nested_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def suffix_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Relative errors of distinct, entropy and L2 by suffix length."""
-    samples = series_view(spark, sf_dir, "doc_tokens")
-    ranges = fractions_of(samples, [(f"s{i:02}", i / 10, 0.0) for i in range(1, 11)])
-    found = univ.query(*univ.build(samples, 5000), ranges).alias("e").join(univ.exact_statistics(samples, ranges).alias("x"), ["query", "series"])
-    return found.select("query", *[F.round(F.abs(F.col(f"e.{m}") / F.col(f"x.{m}") - 1), 6).alias(m) for m in ("distinct", "entropy", "l2")])
+    """Relative errors by suffix length, from a tenth to the whole in steps of a twentieth: of the median's rank, the mean, distinct, entropy and L2."""
+    scratch = Scratch(spark, "sweep")
+    samples = scratch.save(series_view(spark, sf_dir, "doc_tokens", counted=True), "samples")
+    ranges = fractions_of(samples, [(f"s{i:03}", i / 100, 0.0) for i in range(10, 101, 5)])
+    universal = univ.build(samples.drop("n"), 1000, hybrid=False).saved(Scratch(spark, "univ"))
+    items = univ.query(universal, ranges).alias("e").join(univ.exact_statistics(samples, ranges).alias("x"), ["query", "series"])
+    items = items.select("query", "series", *[F.round(F.abs(F.col(f"e.{m}") / F.col(f"x.{m}") - 1), 6).alias(m) for m in ("distinct", "entropy", "l2")])
+    buckets = kll.stored(samples)
+    ranks = kll.judged(samples, kll.answer(samples, buckets, ranges, [0.5]), ranges).select("query", "series", F.round("rank_error", 6).alias("median_rank"))
+    means = sampling.sweep(samples, ranges, [0.1]).select("query", "series", F.col("relative_error").alias("mean"))
+    return items.join(ranks, ["query", "series"]).join(means, ["query", "series"]).drop("series")
 
 
 def parameter_tuning(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Mean rank error and bytes by the histogram's and the sketch's parameter, on a drifting series."""
-    samples = drifting(spark, sf_dir)
+    """Mean error and bytes by the histogram's and the sketch's parameter: ranks on a drifting series, distinct, entropy and L2 on tokens."""
+    samples = Scratch(spark, "tuning").save(drifting(spark, sf_dir), "samples")
     ranges = fractions_of(samples, [(f"r{i}", 0.1 * i + 0.3, 0.1 * i) for i in range(6)])
     rows = []
     for k_eh in (10, 20, 50):
         for k_kll in (64, 256):
-            buckets = kll.build(samples, k_eh, k_kll)
-            errors = kll.judged(samples, kll.answer(samples, buckets, ranges, [0.5, 0.9]), ranges, k_kll).groupBy("series").agg(F.avg("rank_error").alias("rank_error"))
+            buckets = kll.stored(samples, k_eh, k_kll)
+            errors = kll.judged(samples, kll.answer(samples, buckets, ranges, [0.5, 0.9]), ranges, k_kll).groupBy("series").agg(F.avg("rank_error").alias("error"))
             sizes = buckets.groupBy("series").agg(F.count("*").alias("buckets"), F.sum(F.length("sketch")).alias("bytes"))
-            rows.append(errors.join(sizes, "series").select(F.lit(k_eh).alias("k_eh"), F.lit(k_kll).alias("k_kll"), "rank_error", "buckets", "bytes"))
+            rows.append(errors.join(sizes, "series").select(F.lit("kll").alias("family"), F.lit(k_eh).alias("k_eh"), F.lit(str(k_kll)).alias("sketch"), F.lit("rank").alias("measure"), "error", "buckets", "bytes"))
+    tokens = Scratch(spark, "tuning").save(series_view(spark, sf_dir, "doc_tokens"), "samples")
+    ranges = fractions_of(tokens, [(f"r{i}", 0.3 * i + 0.3, 0.0) for i in range(3)])
+    exact = Scratch(spark, "tuning").save(univ.exact_statistics(tokens, ranges), "exact")
+    for k_eh, name, config in ((10, "middle", univ.MIDDLE), (20, "middle", univ.MIDDLE), (20, "large", univ.LARGE), (20, "fine", univ.FINE)):
+        stored = univ.build(tokens, 1000, k_eh, config, hybrid=False).saved(Scratch(spark, "univ"))
+        found = univ.query(stored, ranges, config).alias("e").join(exact.alias("x"), ["query", "series"])
+        errors = found.groupBy("series").agg(*[F.avg(F.abs(F.col(f"e.{m}") / F.col(f"x.{m}") - 1)).alias(m) for m in ("distinct", "entropy", "l2")]).unpivot("series", ["distinct", "entropy", "l2"], "measure", "error")
+        sizes = stored.cells.groupBy("series").agg((F.count("*") * univ.CELL_BYTES).alias("bytes")).join(stored.spans.groupBy("series").agg(F.count("*").alias("buckets")), "series")
+        rows.append(errors.join(sizes, "series").select(F.lit("univ").alias("family"), F.lit(k_eh).alias("k_eh"), F.lit(name).alias("sketch"), "measure", "error", "buckets", "bytes"))
     return _all(rows)
 
 
@@ -83,9 +99,16 @@ def memory_by_window(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def memory_by_series(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Bytes by number of series: in proportion."""
-    samples = synthetic(spark, "zipf", 40, 500)
-    return _all([kll.build(samples.where(f"cast(series AS int) < {n}"), 20).agg(F.lit(n).alias("series"), F.sum(F.length("sketch")).alias("bytes")) for n in (10, 20, 40)])
+    """Bytes by number of series, of both families: in proportion."""
+    samples = Scratch(spark, "memory").save(series_view(spark, sf_dir, "ev_user", counted=True), "samples")
+    order = Window.orderBy("series")
+    names = samples.groupBy("series").agg(F.max("n").alias("size")).withColumn("nth", F.row_number().over(order))
+    sketches = kll.stored(samples, 20).join(names, "series").select("nth", F.length("sketch").alias("bytes"))
+    stored = univ.build(samples.drop("n"), 5)
+    maps = stored.maps.join(names, "series").select("nth", F.lit(univ.ENTRY_BYTES).alias("bytes")).unionByName(stored.cells.join(names, "series").select("nth", F.lit(univ.CELL_BYTES).alias("bytes")))
+    both = sketches.withColumn("family", F.lit("kll")).unionByName(maps.withColumn("family", F.lit("univ")))
+    steps = names.agg(F.max("nth").alias("most")).select(F.explode(F.expr("array(most div 4, most div 2, most)")).alias("series"))
+    return both.groupBy("family", "nth").agg(F.sum("bytes").alias("bytes")).join(steps, F.col("nth") <= F.col("series")).groupBy("family", "series").agg(F.sum("bytes").alias("bytes"))
 
 
 def rivals(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -94,9 +117,7 @@ def rivals(spark: SparkSession, sf_dir: str) -> DataFrame:
     ranges = fractions_of(samples, [(q, f, 0.0) for q, f in baselines.WINDOWS.items()])
     best = Window.partitionBy("query", "series").orderBy(F.desc("f"), "item")
     true = in_range(samples, ranges).groupBy("query", "series", "item").agg(F.count("*").alias("f")).withColumn("nth", F.row_number().over(best)).where("nth <= 5").select("query", "series", "item")
-    spans, maps, _ = univ.build(samples, 50)
-    taken = in_range(spans, ranges, "seq_lo").select("query", "series", "bucket")
-    ours = maps.join(taken, ["series", "bucket"]).groupBy("query", "series", "item").agg(F.sum("f").alias("f")).withColumn("nth", F.row_number().over(best)).where("nth <= 5").select("query", "series", "item")
+    ours = univ.top_items(univ.build(samples, 50), ranges, 5).select("query", "series", "item")
     each = [("histogram", ours)] + [(engine, baselines.fixed_window_topk(samples, baselines.WINDOWS, 5, engine, 40).select("query", "series", "item")) for engine in ("spacesaving", "guarded")]
     hits = _all([true.join(found.withColumn("hit", F.lit(1)), ["query", "series", "item"], "left").groupBy("query").agg(F.round(F.sum(F.coalesce("hit", F.lit(0))) / F.count("*"), 6).alias("recall")).withColumn("engine", F.lit(name)) for name, found in each])
     return hits.select("engine", "query", "recall")
@@ -114,7 +135,7 @@ def drift(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Rank errors on a generated series whose law changes twice."""
     samples = synthetic(spark, "dynamic", 2, 9000)
     ranges = fractions_of(samples, [("whole", 1.0, 0.0), ("second", 0.66, 0.33), ("last", 0.3, 0.0), ("across", 0.5, 0.2)])
-    return kll.judged(samples, kll.answer(samples, kll.build(samples), ranges, [0.5, 0.9]), ranges).select("query", "series", "phi", "rank_error", "within_bound")
+    return kll.judged(samples, kll.answer(samples, kll.stored(samples), ranges, [0.5, 0.9]), ranges).select("query", "series", "phi", "rank_error", "within_bound")
 
 
 def uniformity(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -136,11 +157,12 @@ QUERIES: dict = {
     "workload_statistic_groups": statistic_groups, "workload_cached_groups": cached_groups, "workload_nested_windows": nested_windows, "workload_suffix_sweep": suffix_sweep, "workload_parameter_tuning": parameter_tuning,
     "workload_memory_by_window": memory_by_window, "workload_memory_by_series": memory_by_series, "workload_rivals": rivals, "workload_ratios": ratios, "workload_drift": drift, "workload_uniformity": uniformity, "workload_bucket_counts": bucket_counts,
 }
-_COUNTED = {"ev_type": 50, "ord_prio": 50, "conv_role": 50, "page_host": 50, "li_flag": 50}
+_COUNTED = " UNION ALL ".join(f"SELECT '{view}' AS view, * FROM ({layout_sql(VIEWS[view].sql, 50)} SELECT series, count(DISTINCT bucket) AS buckets, count(*) AS samples FROM placed GROUP BY series)" for view in ("ev_type", "ord_prio", "conv_role", "page_host", "li_flag"))
 SQL: dict = {
     "workload_statistic_groups": f"""WITH v AS ({_V}), {fractions_sql(THREE)}, i AS (SELECT query, v.*, cast(round(value * 100) AS bigint) AS c FROM v JOIN ranges r ON v.series = r.series AND seq > low AND seq <= high),
 f AS (SELECT query, series, count(*) AS "distinct", round(ln(sum(x)) - sum(x * ln(x)) / sum(x), 6) AS entropy, round(sqrt(sum(x * x)), 6) AS l2 FROM (SELECT query, series, item, count(*)::DOUBLE AS x FROM i GROUP BY ALL) GROUP BY query, series)
 SELECT query, series, round(quantile_cont(value, 0.5), 6) AS q50, round(quantile_cont(value, 0.9), 6) AS q90, min(value) AS low, max(value) AS top, round(sum(c) / 100.0 / count(*), 6) AS mean, round(sqrt(greatest(0, sum(c * c) / count(*) - pow(sum(c) / count(*), 2))) / 100, 4) AS deviation, any_value("distinct") AS "distinct", any_value(entropy) AS entropy, any_value(l2) AS l2 FROM i JOIN f USING (query, series) GROUP BY query, series""",
+    "workload_bucket_counts": _COUNTED,
     "workload_cached_groups": kll._case_sql(_V, [0.0, 0.5, 0.9, 1.0], THREE),
     "workload_nested_windows": f"SELECT 'd' || d AS query, series, round(quantile_cont(value, 0.9), 6) AS exact, true AS within_bound FROM ({_V}) JOIN (VALUES (5), (10), (15), (30)) AS n(d) ON t > {END} - d * {DAY} AND t <= {END} GROUP BY d, series",
 }

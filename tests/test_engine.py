@@ -146,9 +146,9 @@ def test_gsum_is_exact_when_all_items_are_heavy(spark):
 def test_maps_only_are_exact_over_their_buckets(spark):
     samples = series_view(spark, SF, "ev_type")
     ranges = eh.fractions_of(samples, [("full", 1.0, 0.0)])
-    spans, maps, sketched = univ.build(samples, 20)
-    assert sketched.count() == 0
-    found = {x.series: x for x in univ.query(spans, maps, sketched, ranges).collect()}
+    buckets = univ.build(samples, 20)
+    assert buckets.cells.count() == 0 and buckets.heavy.count() == 0
+    found = {x.series: x for x in univ.query(buckets, ranges).collect()}
     for x in univ.exact_statistics(samples, ranges).collect():
         got = found[x.series]
         assert got.forms == "map" and got.n == x.n and got.distinct == x.distinct and got.entropy == pytest.approx(x.entropy) and got.l2 == pytest.approx(x.l2)
@@ -179,7 +179,8 @@ def test_rivals_keep_heavy_items():
 
 def test_parser():
     node = rules.parse('quantile_over_time(0.9, ev_type{series=~"a|b"}[5d]) * 2 > 3')
-    assert node.op == ">" and node.child.op == "*" and rules.leaf(node) == rules.OverTime("quantile", 0.9, "ev_type", (("=~", "a|b"),), 5 * DAY)
+    assert node.op == ">" and node.left.op == "*" and rules.leaf(node) == rules.OverTime("quantile", 0.9, "ev_type", (("series", "=~", "a|b"),), 5 * DAY)
+    assert rules.parse("1 + 2 * 3 - (4 - 1)") == 4.0 and rules.parse("max_over_time(a[1d]) + 2 * 3").right == 6.0
     assert rules.parse("avg_over_time(max(ev_type)[10s])").inner == "max"
     for wrong in ("max_over_time(ev_type)", "max_over_time(ev_type[5d]) >", "nothing", "max_over_time(ev_type[5d]) ) ", "max_over_time(ev_type[5d]) ?"):
         with pytest.raises(ValueError):
