@@ -99,16 +99,13 @@ def memory_by_window(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def memory_by_series(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Bytes by number of series, of both families: in proportion."""
+    """Bytes by number of series, of both families, of a quarter, half and all of the users: in proportion."""
     samples = Scratch(spark, "memory").save(series_view(spark, sf_dir, "ev_user", counted=True), "samples")
-    order = Window.orderBy("series")
-    names = samples.groupBy("series").agg(F.max("n").alias("size")).withColumn("nth", F.row_number().over(order))
-    sketches = kll.stored(samples, 20).join(names, "series").select("nth", F.length("sketch").alias("bytes"))
     stored = univ.build(samples.drop("n"), 5)
-    maps = stored.maps.join(names, "series").select("nth", F.lit(univ.ENTRY_BYTES).alias("bytes")).unionByName(stored.cells.join(names, "series").select("nth", F.lit(univ.CELL_BYTES).alias("bytes")))
-    both = sketches.withColumn("family", F.lit("kll")).unionByName(maps.withColumn("family", F.lit("univ")))
-    steps = names.agg(F.max("nth").alias("most")).select(F.explode(F.expr("array(most div 4, most div 2, most)")).alias("series"))
-    return both.groupBy("family", "nth").agg(F.sum("bytes").alias("bytes")).join(steps, F.col("nth") <= F.col("series")).groupBy("family", "series").agg(F.sum("bytes").alias("bytes"))
+    entries = stored.maps.select("series", F.lit(univ.ENTRY_BYTES).alias("bytes")).unionByName(stored.cells.select("series", F.lit(univ.CELL_BYTES).alias("bytes")))
+    both = kll.stored(samples, 20).select("series", F.length("sketch").alias("bytes"), F.lit("kll").alias("family")).unionByName(entries.withColumn("family", F.lit("univ")))
+    each = both.groupBy("family", "series").agg(F.sum("bytes").alias("bytes")).withColumn("quarter", F.pmod(F.xxhash64("series"), F.lit(4)))
+    return each.withColumn("quarters", F.explode(F.array(*map(F.lit, (1, 2, 4))))).where("quarter < quarters").groupBy("family", "quarters").agg(F.count("*").alias("series"), F.sum("bytes").alias("bytes"))
 
 
 def rivals(spark: SparkSession, sf_dir: str) -> DataFrame:
