@@ -25,6 +25,9 @@ ESTIMATORS = {
     "stdvar": "round(greatest(0, sum(c * c) / count(*) - pow(sum(c) / count(*), 2)) / 10000, 2)",
 }
 
+#: Squares of hundredths are summed as decimals: a long overflows at some 370,000 samples of value 50,000.
+SQUARES = ("sum(c * c)", "cast(sum(cast(c * c AS decimal(20, 0))) AS double)")
+
 
 def build(samples: DataFrame, p: float = 0.1, salt: int = 1) -> DataFrame:
     """The samples that are kept with chance ``p``."""
@@ -43,7 +46,7 @@ def expire(kept: DataFrame, now: int, window: int) -> DataFrame:
 
 def query(kept: DataFrame, ranges: DataFrame, fn: str, p: float) -> DataFrame:
     inside = in_range(kept, ranges)
-    return inside.withColumn("c", F.expr("cast(round(value * 100) AS bigint)")).groupBy("query", "series").agg(F.expr(ESTIMATORS[fn].format(p=p)).alias("estimate"))
+    return inside.withColumn("c", F.expr("cast(round(value * 100) AS bigint)")).groupBy("query", "series").agg(F.expr(ESTIMATORS[fn].replace(*SQUARES).format(p=p)).alias("estimate"))
 
 
 def sweep(samples: DataFrame, ranges: DataFrame, ps: list[float]) -> DataFrame:
