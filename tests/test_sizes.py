@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 from subwin.operators import sampling
 
 
-@pytest.mark.parametrize("fn, result", [("stddev", 1000.0)])
+@pytest.mark.parametrize("fn, result", [("stddev", 1000.0), ("stdvar", 1000000.0)])
 def test_squares_do_not_overflow(spark, fn, result):
     """Eight values whose squared hundredths sum up to more than a long holds."""
     kept = spark.range(8).selectExpr("'a' AS series", "id + 1 AS seq", "15000000.0D + IF(id % 2 = 0, 1000.0D, -1000.0D) AS value")
