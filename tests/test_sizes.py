@@ -4,6 +4,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from subwin.operators import sampling
+from subwin.streaming import live
 
 
 @pytest.mark.parametrize("fn, result", [("stddev", 1000.0), ("stdvar", 1000000.0)])
@@ -12,3 +13,21 @@ def test_squares_do_not_overflow(spark, fn, result):
     kept = spark.range(8).selectExpr("'a' AS series", "id + 1 AS seq", "15000000.0D + IF(id % 2 = 0, 1000.0D, -1000.0D) AS value")
     ranges = spark.createDataFrame([("all", "a", 0, 8)], "query string, series string, low long, high long")
     assert sampling.query(kept, ranges, fn, 1.0).first()["estimate"] == result
+
+
+EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
+
+
+def _events(spark, folder, rows):
+    """rows of (event_id, microseconds from 2024 on, event_type, value)"""
+    frame = spark.createDataFrame(rows, "event_id long, at long, event_type string, value double")
+    ts = "cast(timestamp_micros(1704067200000000 + at) AS timestamp_ntz) AS ts"
+    frame.selectExpr("event_id", ts, "event_id % 3 AS user_id", "event_type", "value", "'{\"k\": 1}' AS props").write.parquet(f"{folder}/events.parquet")
+    return str(folder)
+
+
+def test_late_reject_by_time_and_id(spark, tmp_path):
+    """Equal times of different ids and ids out of the order of time: all are taken once, only repeats are rejected."""
+    rows = [(i * 1000 + j, j // 2 * 7_000_000, "a", 1.0) for i in range(2) for j in range(400)]
+    found = live.rejected(spark, _events(spark, tmp_path, rows)).first()
+    assert (found["taken"], found["rejected"]) == (800, sum(e % 100 == 7 for e, *_ in rows))
