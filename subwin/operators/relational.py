@@ -147,6 +147,24 @@ def range_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.groupBy("high", "event_type").agg(F.count("*").alias("n"), F.max("value").alias("top"))
 
 
+def day_frame_query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """win_range_frame by running sums, where a frame that slides is summed anew for each row.
+
+    The day up to t ends in t's pane, of a day too, and begins at the same offset of the pane before: a sum from the
+    pane's start and one to the other pane's end, each over the sums of equal times.
+    """
+    events = table(spark, sf_dir, "events").selectExpr("event_id", "event_type", f"{_T} AS t", f"{CENTS} AS c")
+    times = events.groupBy("event_type", "t").agg(F.sum("c").alias("c")).withColumn("pane", F.expr(f"floor(t / {DAY})"))
+    asked = times.select("event_type", "t", F.lit(None).cast("long").alias("c"), (F.col("pane") - 1).alias("pane"), F.lit(1).alias("ago"))
+    of_pane = Window.partitionBy("event_type", "pane")
+    both = times.withColumn("ago", F.lit(0)).unionByName(asked).withColumn("at", F.col("t") - F.col("ago") * DAY)
+    start, end = (of_pane.orderBy(order).rangeBetween(Window.unboundedPreceding, 0) for order in (F.col("at"), F.desc("at")))
+    parts = both.withColumn("part", F.when(F.col("ago") == 0, F.sum("c").over(start)).otherwise(F.sum("c").over(end)))
+    sums = parts.groupBy("event_type", "t").agg(F.sum("part").alias("cents"))
+    same = events["event_type"].eqNullSafe(sums["event_type"]) & events["t"].eqNullSafe(sums["t"])
+    return events.join(sums, same).select("event_id", (F.col("cents") / F.expr("100.0D")).alias("last_day"))
+
+
 def pivot_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return table(spark, sf_dir, "orders").groupBy("o_orderpriority").pivot("o_orderstatus", ["F", "O", "P"]).agg(F.count("o_orderkey")).na.fill(0)
 
@@ -237,7 +255,7 @@ def approximate_query(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES |= {
     "join_asof": asof_query, "join_range_bucketed": range_query, "agg_pivot": pivot_query, "sliding_window": sliding_query, "session_gap": session_query, "win_islands": islands_query,
     "arr_aggregate": array_query, "arr_explode": explode_query, "map_merge_counts": map_query, "json_struct_roundtrip": json_query, "proj_labels": labels_query, "str_tokens": tokens_query,
-    "scan_csv_roundtrip": csv_query, "date_trunc_pane": trunc_query, "udf_pandas_scalar": pandas_query, "udaf_grouped": entropy_query, "agg_approximate": approximate_query,
+    "win_range_frame": day_frame_query, "scan_csv_roundtrip": csv_query, "date_trunc_pane": trunc_query, "udf_pandas_scalar": pandas_query, "udaf_grouped": entropy_query, "agg_approximate": approximate_query,
 }
 SQL |= {
     "join_asof": "SELECT p.event_id, v.value AS latest_value FROM (SELECT * FROM events WHERE event_type = 'purchase') p ASOF LEFT JOIN (SELECT * FROM events WHERE event_type = 'view') v ON p.user_id = v.user_id AND p.ts >= v.ts",

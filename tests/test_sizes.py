@@ -3,7 +3,7 @@
 import pytest
 from pyspark.sql import functions as F
 
-from subwin.operators import sampling
+from subwin.operators import relational, sampling
 from subwin.streaming import live
 
 
@@ -31,3 +31,15 @@ def test_late_reject_by_time_and_id(spark, tmp_path):
     rows = [(i * 1000 + j, j // 2 * 7_000_000, "a", 1.0) for i in range(2) for j in range(400)]
     found = live.rejected(spark, _events(spark, tmp_path, rows)).first()
     assert (found["taken"], found["rejected"]) == (800, sum(e % 100 == 7 for e, *_ in rows))
+
+
+def test_range_frame_at_its_edges(spark, tmp_path):
+    """Frames reach back a day, both ends and equal times included, over panes and gaps, also before 1970; nulls are skipped."""
+    day = 86_400_000_000
+    at = [0, 0, 1, day - 1, day, day, day + 1, 2 * day + 1, 5 * day, -60 * 366 * day, -60 * 366 * day + day]
+    rows = [(i, t, "a" if i % 4 else "b", None if i == 4 else float(i)) for i, t in enumerate(at)]
+    folder = _events(spark, tmp_path, rows)
+    plain = relational._run(relational.QUERY["win_range_frame"])(spark, folder)
+    found = relational.QUERIES["win_range_frame"](spark, folder)
+    assert found.schema == plain.schema or found.dtypes == plain.dtypes
+    assert sorted(found.collect(), key=str) == sorted(plain.collect(), key=str)
