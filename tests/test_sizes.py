@@ -1,9 +1,11 @@
 """Queries on more or other rows than the given tables have."""
 
+from collections import Counter
+
 import pytest
 from pyspark.sql import functions as F
 
-from subwin.operators import relational, sampling
+from subwin.operators import baselines, relational, sampling
 from subwin.streaming import live
 
 
@@ -43,3 +45,29 @@ def test_range_frame_at_its_edges(spark, tmp_path):
     found = relational.QUERIES["win_range_frame"](spark, folder)
     assert found.schema == plain.schema or found.dtypes == plain.dtypes
     assert sorted(found.collect(), key=str) == sorted(plain.collect(), key=str)
+
+
+def test_spacesaving_until_certain(spark):
+    """More near-even items than counters: the best are still the true ones, and few counters do where they are clear."""
+    items = [i * 7919 % 900 for i in range(3000)] + [880, 881, 882]
+    samples = spark.createDataFrame([("a", i + 1, f"u{x:03}") for i, x in enumerate(items)], "series string, seq long, item string")
+    found = baselines.fixed_window_topk(samples, {"all": 1.0}, 3, m=20, certain=True).collect()
+    true = sorted(Counter(f"u{x:03}" for x in items).items(), key=lambda x: (-x[1], x[0]))[:3]
+    assert [(r["item"], r["est"]) for r in found] == true
+    few = baselines.SpaceSaving(3)
+    for x in "abacabdaeabf":
+        few.add(x)
+    assert few.certain(1) and not few.certain(2)
+
+
+def test_spacesaving_takes_over_the_least():
+    """The counters are those of the plain definition: the least count goes, of equal ones the least item."""
+    kept, plain = baselines.SpaceSaving(5), {}
+    for i in range(2000):
+        item = f"u{i * i * 31 % 97 % (3 + i % 17)}"
+        kept.add(item)
+        if item not in plain and len(plain) == 5:
+            least = min(plain, key=lambda x: (plain[x], x))
+            plain[item] = plain.pop(least)
+        plain[item] = plain.get(item, 0) + 1
+    assert kept.counts == plain
