@@ -27,3 +27,10 @@ def _rows(spark, folder, name):
 
 def test_result_cache(spark, folder):
     assert [tuple(r) for r in _rows(spark, folder, "baseline_result_cache")] == [(1, 2, 3 * 21 * 2, 99.0)]
+
+
+def test_bounds(spark, folder):
+    found = {(r["query"], r["series"], r["k"]): r for r in _rows(spark, folder, "bound_kll")}
+    assert len(found) == 5 * 2 * 2 and found["full", "a", 20]["n_low"] == 720
+    middle = found["middle", "b", 50]
+    assert (middle["n_low"], middle["n_high"], middle["suffix"], middle["ranged"]) == (432, 216, 0.05, 0.09)
