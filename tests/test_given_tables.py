@@ -34,3 +34,7 @@ def test_bounds(spark, folder):
     assert len(found) == 5 * 2 * 2 and found["full", "a", 20]["n_low"] == 720
     middle = found["middle", "b", 50]
     assert (middle["n_low"], middle["n_high"], middle["suffix"], middle["ranged"]) == (432, 216, 0.05, 0.09)
+
+
+def test_registry(spark, folder):
+    assert {(r["family"], r["samples"]) for r in _rows(spark, folder, "cache_registry")} == {("univ", 96), ("kll", 480), ("sample", 240)}
