@@ -38,3 +38,7 @@ def test_bounds(spark, folder):
 
 def test_registry(spark, folder):
     assert {(r["family"], r["samples"]) for r in _rows(spark, folder, "cache_registry")} == {("univ", 96), ("kll", 480), ("sample", 240)}
+
+
+def test_ring(spark, folder):
+    assert [tuple(r) for r in _rows(spark, folder, "cache_ring")] == [(1000, True, True)]
