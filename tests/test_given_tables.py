@@ -42,3 +42,7 @@ def test_registry(spark, folder):
 
 def test_ring(spark, folder):
     assert [tuple(r) for r in _rows(spark, folder, "cache_ring")] == [(1000, True, True)]
+
+
+def test_sync(spark, folder):
+    assert {tuple(r) for r in _rows(spark, folder, "cache_sync")} == {("ev_type", "sample", 240), ("ev_type", "univ", 96)}
