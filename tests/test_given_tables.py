@@ -46,3 +46,8 @@ def test_ring(spark, folder):
 
 def test_sync(spark, folder):
     assert {tuple(r) for r in _rows(spark, folder, "cache_sync")} == {("ev_type", "sample", 240), ("ev_type", "univ", 96)}
+
+
+def test_prices(spark, folder):
+    found = {r["what"]: r["dollars"] for r in _rows(spark, folder, "cost_prices")}
+    assert found == {"rescan_a_day": 0.002074, "rescan_a_month": 0.062208, "once_a_month": 0.0, "flat_ingestion": 5e-05}
