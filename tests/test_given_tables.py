@@ -51,3 +51,7 @@ def test_sync(spark, folder):
 def test_prices(spark, folder):
     found = {r["what"]: r["dollars"] for r in _rows(spark, folder, "cost_prices")}
     assert found == {"rescan_a_day": 0.002074, "rescan_a_month": 0.062208, "once_a_month": 0.0, "flat_ingestion": 5e-05}
+
+
+def test_samples_scanned(spark, folder):
+    assert {tuple(r) for r in _rows(spark, folder, "cost_samples_scanned")} == {("a", 3600, 720), ("b", 3600, 720)}
