@@ -5,6 +5,7 @@ from datetime import datetime, timedelta
 import pytest
 
 import __spark_entry__ as contract
+from subwin.plans import rules
 
 START = datetime(2024, 1, 1)
 
@@ -55,3 +56,8 @@ def test_prices(spark, folder):
 
 def test_samples_scanned(spark, folder):
     assert {tuple(r) for r in _rows(spark, folder, "cost_samples_scanned")} == {("a", 3600, 720), ("b", 3600, 720)}
+
+
+def test_coverage(spark, folder):
+    found = _rows(spark, folder, "coverage_report")
+    assert len(found) == len(rules.coverage()) and {r["samples"] for r in found} == {480}
