@@ -61,3 +61,8 @@ def test_samples_scanned(spark, folder):
 def test_coverage(spark, folder):
     found = _rows(spark, folder, "coverage_report")
     assert len(found) == len(rules.coverage()) and {r["samples"] for r in found} == {480}
+
+
+def test_routes(spark, folder):
+    found = {r["rule"]: (r["source"], r["samples"]) for r in _rows(spark, folder, "route_rules")}
+    assert len(found) == 7 and found["distinct_short"] == ("cache", 48) and found["q90_long"] == ("exact", 480)
