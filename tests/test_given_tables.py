@@ -66,3 +66,8 @@ def test_coverage(spark, folder):
 def test_routes(spark, folder):
     found = {r["rule"]: (r["source"], r["samples"]) for r in _rows(spark, folder, "route_rules")}
     assert len(found) == 7 and found["distinct_short"] == ("cache", 48) and found["q90_long"] == ("exact", 480)
+
+
+def test_eval_points(spark, folder):
+    found = _rows(spark, folder, "rule_eval_points")
+    assert len(found) == 7 * 21 and {r["samples"] for r in found if r["rule"] == "entropy"} == {96}
