@@ -71,3 +71,10 @@ def test_routes(spark, folder):
 def test_eval_points(spark, folder):
     found = _rows(spark, folder, "rule_eval_points")
     assert len(found) == 7 * 21 and {r["samples"] for r in found if r["rule"] == "entropy"} == {96}
+
+
+def test_other_label(spark, folder):
+    """A label that the series lack is empty: it differs from any value, and equals none but the empty one."""
+    assert len(_rows(spark, folder, "rule_other_label")) == 21 * 2
+    assert rules._rule('max_over_time(ev_type{host="click"}[5d])')(spark, folder).isEmpty()
+    assert rules._rule('max_over_time(ev_type{host=""}[5d])')(spark, folder).count() == 21 * 2
