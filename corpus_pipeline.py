@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from subwin.llm import bpe, exact_dedup, quality_rules, similar_dedup, source_mixing
+from subwin.llm import bpe, exact_dedup, quality_rules, similar_dedup, simhash_dedup, source_mixing
 from subwin.llm.common import table
 from subwin.storage import Scratch
 
@@ -26,8 +26,10 @@ def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One of each component of texts whose five-word shingles are alike by 0.8 or more."""
-    return similar_dedup.drop_similar(docs).select(*COLUMNS)
+    """One of each component of fingerprints that differ in two bits at most; of what is left, one of each component of
+    texts whose five-word shingles are alike by 0.8 or more, which fingerprints mostly miss."""
+    printed = Scratch(spark, "near").save(simhash_dedup.drop_near_copies(docs), "printed")
+    return similar_dedup.drop_similar(printed).select(*COLUMNS)
 
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
