@@ -230,16 +230,36 @@ def merged(buckets: Buckets, ranges: DataFrame, config: Config = LARGE, by: str
     return forms, counts, summed, candidates
 
 
+def distinct_items(buckets: Buckets, ranges: DataFrame, candidates: DataFrame, config: Config, by: str = "seq") -> DataFrame:
+    """query, series, known: distinct items of each range from its ``candidates`` (see ``merged``), which all are in it.
+
+    A layer is whole if no bucket had more items in it than it keeps; from the first layer below which all are whole the
+    number of candidates is that of the items. Going up, a layer has twice the items of the next one, corrected by its
+    candidates, known to be in the next one or not: as in ``gsum``, but for all candidates instead of the heaviest, and
+    without estimated counts. Null where the last layer isn't whole.
+    """
+    layers = len(config.widths)
+    taken = in_range(buckets.spans, ranges, f"{by}_lo").where("form = 'sketch'").select("query", "series", "bucket")
+    cut = buckets.heavy.groupBy("series", "bucket", "layer").agg(F.count("*").alias("kept")).where(F.col("kept") >= config.heavy).groupBy("series", "bucket").agg(F.max("layer").alias("cut"))
+    base = taken.join(cut, ["series", "bucket"], "left").groupBy("query", "series").agg((F.coalesce(F.max("cut"), F.lit(-1)) + 1).alias("base"))
+    by_layer = candidates.groupBy("query", "series", "layer").agg(F.count("*").alias("c"), F.count_if(F.expr(f"({_depth(layers)}) > layer")).alias("on"))
+    part = F.expr("CASE WHEN layer = base THEN shiftleft(c, layer) WHEN layer < base THEN shiftleft(c - 2 * on, layer) ELSE 0 END")
+    return by_layer.join(base, ["query", "series"]).groupBy("query", "series").agg(F.when(F.max("base") < layers, F.sum(part)).cast("double").alias("known"))
+
+
 def query(buckets: Buckets, ranges: DataFrame, config: Config = LARGE, by: str = "seq") -> DataFrame:
     """query, series, n, forms (map, sketch or mixed), distinct, entropy, l2 of each range.
 
-    Ranges that take only maps are answered from summed counts, exactly but for the alignment; others from summed cells.
+    Ranges that take only maps are answered from summed counts, exactly but for the alignment; others from summed cells,
+    and their distinct items from the candidates.
     """
     forms, counts, summed, candidates = merged(buckets, ranges, config, by)
     exact = counts.join(forms.where("forms = 'map'").select("query", "series"), ["query", "series"]).withColumn("x", F.col("f").cast("double")).groupBy("query", "series").agg(*[F.sum(F.expr(g)).alias(name) for name, g in G.items()])
     sums = gsum(point_estimates(summed, candidates, config, "query", "series"), config, "query", "series")
     norms = l2_of_cells(summed, "query", "series").withColumnRenamed("l2", "row_l2")
+    known = distinct_items(buckets, ranges, candidates, config, by)
     sketched_sums = sums.join(norms, ["query", "series"]).withColumn("l2sq", F.col("row_l2") * F.col("row_l2")).drop("row_l2")
+    sketched_sums = sketched_sums.join(known, ["query", "series"], "left").withColumn("distinct", F.coalesce("known", "distinct")).drop("known")
     return finish(exact.unionByName(sketched_sums).join(forms, ["query", "series"]), F.col("n")).select("query", "series", "n", "forms", "distinct", "entropy", "l2")
 
 
@@ -310,7 +330,7 @@ def _bounded(size: int, cuts, tolerance: dict[str, float], view: str, hybrid: bo
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         samples = series_view(spark, sf_dir, view)
         ranges = fractions_of(samples, cuts)
-        found = query(build(samples, size, K_EH, config, hybrid, map_bytes), ranges, config)
+        found = query(build(samples, size, K_EH, config, hybrid, map_bytes).saved(Scratch(spark, "univ")), ranges, config)
         exact = exact_statistics(samples, ranges)
         suffix = exact_statistics(samples, fractions_of(samples, [(q, a, 0.0) for q, a, _ in cuts]))
         joined = found.alias("e").join(exact.alias("x"), ["query", "series"]).join(suffix.alias("s"), ["query", "series"])
