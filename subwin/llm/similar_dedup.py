@@ -218,7 +218,10 @@ def classes(printed: DataFrame, docs: DataFrame, scratch: Scratch, width: int =
             placed = scratch.save(members.join(roots, F.col("node") == F.col("of"), "left").select("band", "slot", "node", F.coalesce("root", "node").alias("root"), "n", "sig"), f"placed{turn}")
     rooted = nodes.join(roots, F.col("node") == F.col("of"), "left").select("node", "least", F.coalesce("root", "node").alias("root"))
     named = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
-    return scratch.save(rooted.join(named, "root").select("node", "root", "component_id"), "classes")
+    found = scratch.save(rooted.join(named, "root").select("node", "root", "component_id"), "classes")
+    for name in ("nodes", "shared", "bodies", *(f"{x}{turn}" for x in ("pairs", "placed", "linked") for turn in range(TURNS + 1))):
+        scratch.drop(name)
+    return found
 
 
 def drop_similar(docs: DataFrame, width: int = WIDTH, least: float = LEAST) -> DataFrame:
