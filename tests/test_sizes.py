@@ -112,9 +112,9 @@ def test_distinct_of_many_more_items_than_are_heavy(spark):
             assert x.forms == ("sketch" if not kind else "mixed" if x.query == "full" else "map") and abs(x.distinct - taken[x.query]) <= 0.05 * taken[x.query], (kind, x, taken)
 
 
-@pytest.mark.parametrize("entries", [700], ids=["smallest_are_maps"])
+@pytest.mark.parametrize("entries", [700, 2200], ids=["smallest_are_maps", "most_are_maps"])
 def test_distinct_of_maps_beside_sketches(spark, entries):
-    """As in ehuniv_mixed_tokens: a range of sketches that keep 100 items of a layer, and of exact maps."""
+    """As in ehuniv_mixed_tokens and ehuniv_hybrid_tokens: a range of sketches that keep 100 items of a layer, and of exact maps."""
     config = univ.Config([256] * 8 + [64] * 8, 3, 100)
     samples = spark.range(60_000).selectExpr("'a' AS series", "id + 1 AS seq", "id AS t", "concat('u', id * 7919 % 30011) AS item")
     ranges = spark.createDataFrame([("full", "a", 0, 60_000)], "query string, series string, low long, high long")
