@@ -8,14 +8,17 @@ modular, of the first 28 bits of an item's MD5, so that another engine makes the
 
 from __future__ import annotations
 
+import hashlib
+from collections.abc import Iterator
 from dataclasses import dataclass, field, fields
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from subwin.operators.eh import CUTS, fractions_of, fractions_sql, in_range, layout_weight
-from subwin.sources.views import VIEWS, series_view
+from subwin.operators.eh import CUTS, cut_runs, fractions_of, fractions_sql, in_range, layout_weight, segments
+from subwin.sources.views import VIEWS, WORDS, runs_of, series_view, written_words
 from subwin.storage import Scratch
 
 PRIME = 2_147_483_647
@@ -143,34 +146,109 @@ PANE_CELLS = 512
 
 
 def _median_square(vector) -> float:
-    return float(np.median(np.square(np.asarray(vector, np.float64).reshape(3, PANE_CELLS)).sum(axis=1)))
+    return float(np.sort(np.square(np.asarray(vector, np.float64).reshape(3, PANE_CELLS)).sum(axis=1))[1])
 
 
-def _dense(sparse) -> np.ndarray:
-    """A pane's sketch from its cells' places, then their values."""
-    at, v = np.asarray(sparse, np.int64).reshape(2, -1)
-    out = np.zeros(3 * PANE_CELLS)
+def _packed(at: np.ndarray, v: np.ndarray) -> bytes:
+    """Cells of a pane's sketch: all of them in a byte each, or places and values of those that aren't zero."""
+    if 3 * len(at) < PANE_CELLS or abs(v).max() > 127:
+        return b"s" + at.astype("<i2").tobytes() + v.astype("<i8").tobytes()
+    out = np.zeros(3 * PANE_CELLS, np.int8)
     out[at] = v
+    return b"d" + out.tobytes()
+
+
+def _dense(packed: bytes) -> np.ndarray:
+    if packed[:1] == b"d":
+        return np.frombuffer(packed, np.int8, offset=1).astype(np.float64)
+    n = (len(packed) - 1) // 10
+    out = np.zeros(3 * PANE_CELLS)
+    out[np.frombuffer(packed, "<i2", n, 1)] = np.frombuffer(packed, "<i8", n, 1 + 2 * n)
     return out
 
 
-def panes_of(samples: DataFrame, size: int) -> DataFrame:
-    """Samples with their pane of ``size`` positions."""
-    return samples.withColumn("pane", F.expr(f"(seq - 1) div {size}"))
+#: Samples of which a task makes summaries at a time.
+CHUNK = 1 << 18
+
+
+def _chunks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
+    held, rows = [], 0
+    for batch in batches:
+        held.append(batch)
+        rows += len(batch["items"].flatten()) if "items" in batch.schema.names else batch.num_rows
+        if rows >= CHUNK:
+            yield pa.Table.from_batches(held)
+            held, rows = [], 0
+    if rows:
+        yield pa.Table.from_batches(held)
+
+
+def _hashes(items: pa.Array) -> np.ndarray:
+    return np.fromiter((int(hashlib.md5(x.encode()).hexdigest()[:7], 16) for x in items.to_pylist()), np.int64, len(items))
+
+
+def _places(h: np.ndarray, row: int, width) -> np.ndarray:
+    return (h * ROWS[row][0] + ROWS[row][1]) % PRIME % width
+
+
+def _signs(h: np.ndarray, row: int) -> np.ndarray:
+    return 1 - 2 * ((h * SIGNS[row][0] + SIGNS[row][1]) % PRIME % 2)
+
+
+def _depths(h: np.ndarray, layers: int) -> np.ndarray:
+    x = (h * DEPTH[0] + DEPTH[1]) % PRIME
+    x = np.where(x == 0, 1 << 40, x)
+    return np.minimum(np.log2(x & -x).astype(np.int64), layers - 1)
+
+
+def _summaries(size: int):
+    """series, pane, summary of runs (series, seq, items): a summary of each pane in a batch, as a sketch is linear."""
+
+    def summarise(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for chunk in _chunks(batches):
+            series, items = chunk["series"].combine_chunks().dictionary_encode(), chunk["items"].combine_chunks()
+            lens = np.diff(items.offsets.to_numpy())
+            code = np.repeat(series.indices.to_numpy().astype(np.int64), lens)
+            nth = np.arange(len(code)) - np.repeat(np.cumsum(lens) - lens, lens)
+            pane = (np.repeat(chunk["seq"].to_numpy(), lens) + nth - 1) // size
+            item = items.flatten().dictionary_encode()
+            if item.null_count:
+                known = item.is_valid().to_numpy(zero_copy_only=False)
+                code, pane, item = code[known], pane[known], item.drop_null()
+            if not len(code):
+                continue
+            order = slice(None)
+            if ((np.diff(code) < 0) | ((np.diff(code) == 0) & (np.diff(pane) < 0))).any():
+                order = np.lexsort((pane, code))
+            starts = np.ones(len(code), bool)
+            starts[1:] = (np.diff(code[order]) > 0) | (np.diff(pane[order]) != 0)
+            code, pane, words = code[order][starts], pane[order][starts], item.indices.to_numpy()[order]
+            group, h = np.cumsum(starts) - 1, _hashes(item.dictionary)
+            flat = np.concatenate([group * (3 * PANE_CELLS) + (r * PANE_CELLS + _places(h, r, PANE_CELLS))[words] for r in range(3)])
+            sign = np.concatenate([_signs(h, r)[words] for r in range(3)])
+            if len(code) * 3 * PANE_CELLS <= 4 * len(flat):
+                sums = np.bincount(flat, sign).astype(np.int64)
+                cells = np.flatnonzero(sums)
+                sums = sums[cells]
+            else:
+                cells, of = np.unique(flat, return_inverse=True)
+                sums = np.bincount(of, sign).astype(np.int64)
+            cuts = np.searchsorted(cells, np.arange(len(code) + 1) * (3 * PANE_CELLS))
+            at = cells % (3 * PANE_CELLS)
+            packed = [_packed(at[i:j], sums[i:j]) if i < j else b"s" for i, j in zip(cuts, cuts[1:])]
+            yield pa.RecordBatch.from_arrays([series.dictionary.take(pa.array(code)), pa.array(pane), pa.array(packed, pa.binary())], names=["series", "pane", "summary"])
+
+    return summarise
 
 
 def bucket_layout(samples: DataFrame, size: int, k: float = K_EH) -> DataFrame:
     """series, bucket, pane_lo, pane_hi, weight: the fold of panes by squared L2.
 
     Of each pane the fold gets a Count Sketch of fixed size, three rows of PANE_CELLS cells, whose sums give
-    the squared L2 of unions.
+    the squared L2 of unions. Tasks sum up what they have of a pane; no sample is moved.
     """
-    freq = frequencies(panes_of(samples, size), "pane")
-    cells = F.array(*[F.struct(F.expr(f"{r * PANE_CELLS} + {_hash(*ROWS[r])} % {PANE_CELLS}").alias("at"), F.expr(f"CASE WHEN {_hash(*SIGNS[r])} % 2 = 0 THEN f ELSE -f END").alias("v")) for r in range(3)])
-    summed = freq.select("series", "pane", F.inline(cells)).groupBy("series", "pane", "at").agg(F.sum("v").alias("v"))
-    entries = summed.groupBy("series", "pane").agg(F.collect_list(F.struct("at", "v")).alias("m"))
-    sparse = entries.select("series", "pane", F.expr("concat(transform(m, x -> x.at), transform(m, x -> x.v))").alias("summary"))
-    return layout_weight(sparse, k, _median_square, np.add, read=_dense)
+    runs = runs_of(samples).select("series", "seq", "items")
+    return layout_weight(runs.mapInArrow(_summaries(size), "series string, pane long, summary binary"), k, _median_square, np.add, read=_dense)
 
 
 @dataclass(frozen=True)
@@ -189,27 +267,113 @@ class Buckets:
         return Buckets(**{name: scratch.save(df, name) for name, df in self.tables().items()})
 
 
+@dataclass(frozen=True)
+class Counts:
+    """Buckets before they take a form: spans with size and items, and the counts f of items by bucket."""
+
+    spans: DataFrame
+    freq: DataFrame
+
+
+def count(samples: DataFrame, size: int, k: float = K_EH) -> Counts:
+    """Counts by bucket of panes of ``size`` positions, written. What meets the samples, or runs of them, is the small table of
+    buckets."""
+    scratch = Scratch(samples.sparkSession, "univ")
+    layout = scratch.save(bucket_layout(samples, size, k).selectExpr("series", "bucket", f"pane_lo * {size} AS low", f"(pane_hi + 1) * {size} AS high"), "layout")
+    placed = cut_runs(runs_of(samples), layout, 256 * size)
+    freq = scratch.save(frequencies(placed.select("series", "bucket", F.explode("items").alias("item")), "bucket"), "frequencies")
+    spans = placed.groupBy("series", "bucket").agg(F.min("seq").alias("seq_lo"), F.expr("max(seq + len - 1) AS seq_hi"), F.min("t").alias("t_lo"), F.expr("max(t + (len - 1) * step) AS t_hi"), F.sum("len").alias("size"))
+    distinct = freq.groupBy("series", "bucket").agg(F.count("*").alias("items"))
+    return Counts(scratch.save(spans.join(distinct, ["series", "bucket"]), "spans"), freq)
+
+
+def _cells(config: Config):
+    """Cells of the sketches of rows (series, bucket, h, f) that come bucket by bucket: one sketch is held at a time."""
+    layers = len(config.widths)
+    starts = np.cumsum([0] + [w * config.rows for w in config.widths])
+    layer = np.repeat(np.arange(layers), np.diff(starts))
+    row, col = np.divmod(np.arange(starts[-1]) - starts[layer], np.array(config.widths)[layer])
+
+    def sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, sums = None, np.zeros(starts[-1], np.int64)
+
+        def cells() -> pa.RecordBatch:
+            at = np.flatnonzero(touched)
+            return pa.RecordBatch.from_arrays([pa.array([now[0]], pa.string()).take(pa.array(np.zeros(len(at), np.int32))), pa.array(np.full(len(at), now[1], np.int32)), pa.array(layer[at], pa.int32()), pa.array(row[at], pa.int32()), pa.array(col[at]), pa.array(sums[at])], names=["series", "bucket", "layer", "row", "col", "c"])
+
+        touched = np.zeros(starts[-1], bool)
+        for chunk in _chunks(batches):
+            for key, rows in _by_bucket(chunk):
+                if key != now:
+                    if now:
+                        yield cells()
+                    now = key
+                    sums[:], touched[:] = 0, False
+                h, f = rows["h"].to_numpy(), rows["f"].to_numpy()
+                depth = _depths(h, layers)
+                for j in range(layers):
+                    deep = depth >= j
+                    if not deep.any():
+                        break
+                    h, f, depth = h[deep], f[deep], depth[deep]
+                    for r in range(config.rows):
+                        at = starts[j] + r * config.widths[j] + _places(h, r, config.widths[j])
+                        np.add.at(sums, at, _signs(h, r) * f)
+                        touched[at] = True
+        if now:
+            yield cells()
+
+    return sketch
+
+
+def _by_bucket(chunk: pa.Table) -> Iterator[tuple[tuple, pa.Table]]:
+    bucket, series = chunk["bucket"].to_numpy(), chunk["series"].combine_chunks().dictionary_encode()
+    code = series.indices.to_numpy()
+    cuts = [0, *(np.flatnonzero((np.diff(bucket) != 0) | (np.diff(code) != 0)) + 1), len(bucket)]
+    for i, j in zip(cuts, cuts[1:]):
+        yield (series.dictionary[code[i]].as_py(), int(bucket[i])), chunk.slice(i, j - i)
+
+
+def _heavy(config: Config):
+    """Of rows (series, bucket, item, h) that come bucket by bucket, the heaviest first, the first of each layer."""
+    layers = len(config.widths)
+
+    def first(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, had = None, None
+        for chunk in _chunks(batches):
+            for key, rows in _by_bucket(chunk):
+                if key != now:
+                    now, had = key, [0] * layers
+                depth = _depths(rows["h"].to_numpy(), layers)
+                for j in range(layers):
+                    at = np.flatnonzero(depth >= j)[: config.heavy - had[j]]
+                    had[j] += len(at)
+                    if len(at):
+                        yield rows.take(pa.array(at)).append_column("layer", pa.array(np.full(len(at), j, np.int32))).select(["series", "bucket", "layer", "item", "h"]).combine_chunks().to_batches()[0]
+
+    return first
+
+
 def build(samples: DataFrame, size: int, k: float = K_EH, config: Config = LARGE, hybrid: bool = True, map_bytes: int | None = None) -> Buckets:
-    """Buckets of panes of ``size`` positions.
+    """Buckets of panes of ``size`` positions: see ``formed``."""
+    return formed(count(samples, size, k), config, hybrid, map_bytes)
+
+
+def formed(counts: Counts, config: Config = LARGE, hybrid: bool = True, map_bytes: int | None = None) -> Buckets:
+    """Buckets as they are stored.
 
     A bucket stays a map while its entries take fewer bytes than a sketch's cells, or than ``map_bytes``; ``hybrid`` False sketches all. What a
-    sketch stores depends on the configuration, not on the items: its cells, and for each layer ``config.heavy`` items at most.
+    sketch stores depends on the configuration, not on the items: its cells, and for each layer ``config.heavy`` items at most. A bucket's
+    items stream through one task, which holds one sketch; no cells are moved.
     """
-    scratch = Scratch(samples.sparkSession, "univ")
-    layout = scratch.save(bucket_layout(samples, size, k), "layout")
-    of_pane = layout.select("series", "bucket", F.explode(F.sequence("pane_lo", "pane_hi")).alias("pane"))
-    placed = panes_of(samples, size).join(of_pane, ["series", "pane"])
-    freq = scratch.save(frequencies(placed, "bucket"), "frequencies")
-    spans = placed.groupBy("series", "bucket").agg(F.min("seq").alias("seq_lo"), F.max("seq").alias("seq_hi"), F.min("t").alias("t_lo"), F.max("t").alias("t_hi"), F.count("*").alias("size"))
-    distinct = freq.groupBy("series", "bucket").agg(F.count("*").alias("items"))
     limit = (config.cells * CELL_BYTES if map_bytes is None else map_bytes) if hybrid else 0
     form = F.when(F.col("items") * ENTRY_BYTES < limit, F.lit("map")).otherwise(F.lit("sketch"))
-    spans = scratch.save(spans.join(distinct, ["series", "bucket"]).withColumn("form", form), "spans")
-    formed = freq.join(spans.select("series", "bucket", "form"), ["series", "bucket"])
-    sketched = formed.where("form = 'sketch'")
-    nth = F.row_number().over(Window.partitionBy("series", "bucket", "layer").orderBy(F.desc("f"), "item"))
-    heavy = sketched.select("series", "bucket", "item", "h", "f", _layers(config)).withColumn("nth", nth).where(F.col("nth") <= config.heavy)
-    return Buckets(spans, formed.where("form = 'map'").select("series", "bucket", "item", "f", "h"), sketch_cells(sketched, config, "series", "bucket"), heavy.select("series", "bucket", "layer", "item", "h"))
+    spans = counts.spans.withColumn("form", form)
+    of_form = counts.freq.join(spans.select("series", "bucket", "form"), ["series", "bucket"])
+    sketched = of_form.where("form = 'sketch'").select("series", "bucket", "item", "h", "f").repartition("series", "bucket")
+    cells = sketched.drop("item").sortWithinPartitions("bucket", "series").mapInArrow(_cells(config), "series string, bucket int, layer int, row int, col long, c long")
+    heavy = sketched.sortWithinPartitions("bucket", "series", F.desc("f"), "item").select("series", "bucket", "item", "h").mapInArrow(_heavy(config), "series string, bucket int, layer int, item string, h long")
+    return Buckets(spans, of_form.where("form = 'map'").select("series", "bucket", "item", "f", "h"), cells, heavy)
 
 
 def _layers(config: Config) -> Column:
@@ -273,9 +437,12 @@ def top_items(buckets: Buckets, ranges: DataFrame, k: int, config: Config = LARG
 
 
 def exact_statistics(samples: DataFrame, ranges: DataFrame) -> DataFrame:
-    """query, series, n, distinct, entropy, l2 of the samples of each range."""
-    inside = in_range(samples, ranges)
-    counts = inside.groupBy("query", "series", "item").agg(F.count("*").alias("f")).withColumn("x", F.col("f").cast("double"))
+    """query, series, n, distinct, entropy, l2 of the samples of each range. Items are counted once by the pieces of the
+    ranges, then summed up for each range where all pieces of an item are."""
+    pieces = Scratch(samples.sparkSession, "exact").save(segments(ranges), "pieces")
+    inside = cut_runs(runs_of(samples), pieces.select("series", "low", "high").distinct()).select("series", "low", "high", F.explode("items").alias("item"))
+    by_piece = inside.groupBy("series", "low", "high", "item").agg(F.count("*").alias("f")).repartition("series", "item")
+    counts = by_piece.join(pieces, ["series", "low", "high"]).groupBy("query", "series", "item").agg(F.sum("f").alias("f")).withColumn("x", F.col("f").cast("double"))
     sums = counts.groupBy("query", "series").agg(F.sum("f").alias("n"), *[F.sum(F.expr(g)).alias(name) for name, g in G.items()])
     return finish(sums, F.col("n")).select("query", "series", "n", "distinct", "entropy", "l2")
 
@@ -328,11 +495,14 @@ def _bounded(size: int, cuts, tolerance: dict[str, float], view: str, hybrid: bo
     """Estimates beside the exact values, with whether each is within its tolerance of the suffix's statistic."""
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        samples = series_view(spark, sf_dir, view)
-        ranges = fractions_of(samples, cuts)
+        scratch = Scratch(spark, "univ")
+        samples = written_words(spark, sf_dir, view) if view in WORDS else scratch.save(series_view(spark, sf_dir, view, counted=True), "samples")
+        # of each range and of the suffix that it begins
+        both = scratch.save(fractions_of(samples, [(f"{x}{q}", a, b * (x == "e")) for q, a, b in cuts for x in "es"]), "ranges")
+        ranges = both.where("query LIKE 'e%'").withColumn("query", F.expr("substr(query, 2)"))
         found = query(build(samples, size, K_EH, config, hybrid, map_bytes).saved(Scratch(spark, "univ")), ranges, config)
-        exact = exact_statistics(samples, ranges)
-        suffix = exact_statistics(samples, fractions_of(samples, [(q, a, 0.0) for q, a, _ in cuts]))
+        exact = scratch.save(exact_statistics(samples, both), "exact")
+        exact, suffix = (exact.where(F.col("query").startswith(x)).withColumn("query", F.expr("substr(query, 2)")) for x in "es")
         joined = found.alias("e").join(exact.alias("x"), ["query", "series"]).join(suffix.alias("s"), ["query", "series"])
         checks = [(F.abs(F.col(f"e.{m}") - F.col(f"x.{m}")) <= tol * F.col(f"s.{m}")).alias(f"{m}_within") for m, tol in tolerance.items()]
         return joined.select("query", "series", F.col("x.distinct").cast("long").alias("distinct"), F.round("x.entropy", 6).alias("entropy"), F.round("x.l2", 6).alias("l2"), *checks)
