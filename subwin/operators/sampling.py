@@ -9,8 +9,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from subwin.operators.eh import CUTS, fractions_of, fractions_sql, in_range
+from subwin.operators.eh import CUTS, fractions_of, fractions_sql, in_range, segments
 from subwin.sources.views import VIEWS, series_view
+from subwin.storage import Scratch
 
 PRIME, SCALE = 2_147_483_647, 1_000_000
 #: Chance of a position, in millionths.
@@ -51,10 +52,14 @@ def query(kept: DataFrame, ranges: DataFrame, fn: str, p: float) -> DataFrame:
 
 def sweep(samples: DataFrame, ranges: DataFrame, ps: list[float]) -> DataFrame:
     """Relative error of the mean for each ratio, in one pass over the samples."""
-    inside = in_range(samples, ranges).withColumn("draw", F.expr(DRAW.format(salt=1)))
+    pieces = Scratch(samples.sparkSession, "sweep").save(segments(ranges), "pieces")
+    inside = in_range(samples, pieces.select("series", "low", "high").distinct()).withColumn("draw", F.expr(DRAW.format(salt=1)))
     c = F.expr("cast(round(value * 100) AS bigint)")
     each = [F.struct(F.lit(p).alias("p"), F.count_if(F.col("draw") < int(p * SCALE)).alias("m"), F.sum(F.when(F.col("draw") < int(p * SCALE), c)).alias("s")) for p in ps]
-    found = inside.groupBy("query", "series").agg(F.count("*").alias("n"), F.sum(c).alias("total"), F.array(*each).alias("each"))
+    of_piece = inside.groupBy("series", "low", "high").agg(F.count("*").alias("n"), F.sum(c).alias("total"), F.array(*each).alias("each"))
+    met = of_piece.join(pieces, ["series", "low", "high"])
+    sums = [F.struct(F.lit(p).alias("p"), F.sum(F.col("each")[i]["m"]).alias("m"), F.sum(F.col("each")[i]["s"]).alias("s")) for i, p in enumerate(ps)]
+    found = met.groupBy("query", "series").agg(F.sum("n").alias("n"), F.sum("total").alias("total"), F.array(*sums).alias("each"))
     return found.select("query", "series", "n", "total", F.inline("each")).select("query", "series", "p", "m", F.round(F.abs(F.col("s") / F.col("m") * F.col("n") / F.col("total") - 1), 6).alias("relative_error"))
 
 

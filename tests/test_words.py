@@ -2,7 +2,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import functions as F
 
-from subwin.operators import eh, univ
+from subwin.operators import eh, sampling, univ
 from subwin.operators.eh import cut_runs, in_range
 from subwin.sources.views import samples_of, series_view, written_words
 from subwin.storage import Scratch
@@ -57,3 +57,21 @@ def test_layout_and_sketches_without_moving_words(spark, tmp_path):
     nth = F.row_number().over(univ.Window.partitionBy(*keys).orderBy(F.desc("f"), "item"))
     heavy = counts.freq.select("series", "bucket", "item", "f", univ._layers(config)).withColumn("nth", nth).where("nth <= 4").select(*keys, "item")
     assert sorted(stored.heavy.select(*keys, "item").collect()) == sorted(heavy.collect())
+
+
+def test_overlapping_ranges_meet_samples_once(spark):
+    """Means of overlapping ranges come from sums by the pieces of the ranges, each sample in one; a gap is in none."""
+    rows = [("a", i + 1, float(i * 37 % 101) / 4) for i in range(3000)]
+    samples = spark.createDataFrame(rows, "series string, seq long, value double")
+    cuts = {"x": (0, 3000), "y": (100, 2000), "z": (1500, 2999), "none": (7, 7)}
+    ranges = spark.createDataFrame([(q, "a", a, b) for q, (a, b) in cuts.items()], "query string, series string, low long, high long")
+    pieces = eh.segments(ranges.where("query <> 'x'")).select("low", "high").distinct().collect()
+    assert sorted(map(tuple, pieces)) == [(100, 1500), (1500, 2000), (2000, 2999)]
+    kept = {x.seq for x in sampling.build(samples, 0.5).collect()}
+    found = {x.query: x for x in sampling.sweep(samples, ranges, [0.5]).collect()}
+    assert sorted(found) == ["x", "y", "z"]
+    for q, x in found.items():
+        inside = [(s, v) for _, s, v in rows if cuts[q][0] < s <= cuts[q][1]]
+        drawn = [v for s, v in inside if s in kept]
+        error = abs(sum(drawn) / len(drawn) / (sum(v for _, v in inside) / len(inside)) - 1)
+        assert x.m == len(drawn) and abs(x.relative_error - error) < 2e-6
